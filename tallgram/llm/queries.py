@@ -7,11 +7,26 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from tallgram.llm.common import table
+from tallgram.llm.html_text import extract_main_text
+from tallgram.llm.language import identify
+from tallgram.llm.media import media_digests
 from tallgram.llm.packing import pack_documents
 from tallgram.llm.sharding import shard_documents
 from tallgram.llm.token_store import token_digests
 
 
+def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_main_text(table(spark, sf_dir, "pages"))
+
+
+def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify(table(spark, sf_dir, "documents"))
+
+
+def op3_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media_digests(table(spark, sf_dir, "documents"))
+
+
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_digests(table(spark, sf_dir, "documents"))
 
@@ -25,7 +40,7 @@ def op8_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op4_token_store, op5_packing, op8_shards)}
+    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op8_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
