@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from tallgram.llm.common import table
+from tallgram.llm.decontaminate import contamination
 from tallgram.llm.html_text import extract_main_text
 from tallgram.llm.language import identify
 from tallgram.llm.media import media_digests
 from tallgram.llm.packing import pack_documents
 from tallgram.llm.sharding import shard_documents
 from tallgram.llm.token_store import token_digests
+from tallgram.llm.toxicity import toxicity
 
 
 def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,12 +37,20 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"))
 
 
+def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op8_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op8_shards)}
+    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op7_decontamination, op8_shards, op10_toxicity)}
 
 
 def oracle_sql() -> dict[str, str]:
