@@ -11,6 +11,7 @@ from tallgram.llm.decontaminate import contamination
 from tallgram.llm.html_text import extract_main_text
 from tallgram.llm.language import identify
 from tallgram.llm.media import media_digests
+from tallgram.llm.near_dups import near_duplicates
 from tallgram.llm.packing import pack_documents
 from tallgram.llm.sharding import shard_documents
 from tallgram.llm.token_store import token_digests
@@ -45,12 +46,16 @@ def op8_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
+def op9_near_dups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op7_decontamination, op8_shards, op10_toxicity)}
+    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op7_decontamination, op8_shards, op9_near_dups, op10_toxicity)}
 
 
 def oracle_sql() -> dict[str, str]:
