@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tallgram.llm.common import blocks, mix64, scratch
-from tallgram.llm.tokens import Encoder, vocabulary_path
+from tallgram.llm.tokens import TOKEN_BLOCK_BYTES, Encoder, vocabulary_path
 
 KEYS_PER_BUCKET = 4
 _NULL_KEY = np.uint64(0x5851F42D4C957F2D)
@@ -126,7 +126,7 @@ def write_token_store(docs: DataFrame, path: str, vocabulary: str | None = None)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, part, before = Encoder.at(vocabulary), TaskContext.get().partitionId(), 0
-        for seg, block in enumerate(blocks(batches)):
+        for seg, block in enumerate(blocks(batches, max_bytes=TOKEN_BLOCK_BYTES)):
             ids, offsets = encoder.encode(block.column("text"))
             keys = block.column("doc_id").to_pylist()
             width = 2 if len(ids) and ids.max() < 1 << 16 else 4

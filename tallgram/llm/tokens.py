@@ -16,14 +16,16 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from tallgram.llm.common import text_bytes
+from tallgram.llm.common import LOWER_BYTES, text_bytes
 
 VOCABULARY = "word_bpe_49k.json"
 END_ID = 1
-#: Chunks a worker remembers; beyond it the memory starts anew.
-MEMORY = 600_000
+#: Chunks a worker remembers (about 200 bytes each); beyond it the memory starts anew.
+MEMORY = 1_200_000
 _TAIL = ".,"
 _ASCII_BLANKS = bytes(32 if 9 <= i <= 13 else i for i in range(256))
+#: Text that a worker encodes at once.
+TOKEN_BLOCK_BYTES = 12 << 20
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -42,7 +44,8 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.memory: dict[str, int] = {}
+        self.memory: dict[str, int] = {}  # chunk -> entry
+        self.cores: dict[str, int] = {}  # chunk without trailing stops -> entry
         self._reset()
         mark = self.tokenizer.encode("\x00", add_special_tokens=False).ids
         self.mark = mark[0] if len(mark) == 1 else None
@@ -55,46 +58,73 @@ class Encoder:
 
     def _reset(self) -> None:
         self.memory.clear()
+        self.cores.clear()
         self.ids = np.zeros(1 << 20, dtype=np.uint32)
         self.used = 0
-        self.starts: list[int] = []
-        self.lengths: list[int] = []
-
-    def _remember(self, chunk: str, ids: np.ndarray) -> None:
-        n = len(ids)
-        if self.used + n > len(self.ids):
-            self.ids = np.concatenate([self.ids, np.zeros(max(len(self.ids), n), dtype=np.uint32)])
-        self.ids[self.used : self.used + n] = ids
-        self.memory[chunk] = len(self.starts)
-        self.starts.append(self.used)
-        self.lengths.append(n)
-        self.used += n
-
-    def _encode_new(self, chunks: list[str]) -> None:
-        """Many chunks in one call, NUL between them; chunks that could disturb that go alone."""
-        plain = [c for c in chunks if "\x00" not in c and "<|" not in c] if self.mark is not None else []
+        self.starts = np.zeros(1 << 18, dtype=np.int32)
+        self.lengths = np.zeros(1 << 18, dtype=np.int32)
+        self.entries = 0
+
+    def _append(self, ids: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+        """Entries of new id runs that stand back to back in ids."""
+        need, many = self.used + len(ids), self.entries + len(lengths)
+        if need > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros(max(len(self.ids), len(ids)), dtype=np.uint32)])
+        if many > len(self.starts):
+            more = np.zeros(max(len(self.starts), len(lengths)), dtype=np.int32)
+            self.starts, self.lengths = np.concatenate([self.starts, more]), np.concatenate([self.lengths, more])
+        self.ids[self.used : need] = ids
+        self.starts[self.entries : many] = self.used + np.cumsum(lengths) - lengths
+        self.lengths[self.entries : many] = lengths
+        made = np.arange(self.entries, many)
+        self.used, self.entries = need, many
+        return made
+
+    def _remember(self, core: str) -> None:
+        ids = np.array(self.tokenizer.encode(core, add_special_tokens=False).ids, dtype=np.uint32)
+        self.cores[core] = int(self._append(ids, np.array([len(ids)]))[0])
+
+    def _gather(self, runs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """ids of the entries in runs, back to back, and where each run ends."""
+        lengths = self.lengths[runs]
+        ends = np.cumsum(lengths, dtype=np.int64)
+        total = int(ends[-1]) if len(ends) else 0
+        shift = self.starts[runs] - (ends - lengths).astype(np.int32)
+        return self.ids[np.arange(total, dtype=np.int32) + np.repeat(shift, lengths)], ends
+
+    def _encode_new(self, cores: list[str]) -> None:
+        """Many cores in one call, NUL between them; those that could disturb that go alone."""
+        plain = [c for c in cores if "\x00" not in c and "<|" not in c] if self.mark is not None else []
         groups = [plain[i : i + 512] for i in range(0, len(plain), 512)]
         coded = self.tokenizer.encode_batch_fast([" \x00 ".join(g) for g in groups], add_special_tokens=False)
         for group, one in zip(groups, coded, strict=True):
             ids = np.array(one.ids, dtype=np.uint32)
-            cuts = np.flatnonzero(ids == self.mark)
-            lows, highs = np.concatenate([[0], cuts + 1]), np.concatenate([cuts, [len(ids)]])
-            if len(lows) != len(group):  # a chunk whose ids contain the mark
+            is_mark = ids == self.mark
+            cuts = np.flatnonzero(is_mark)
+            if len(cuts) != len(group) - 1:  # ids of a core contain the mark
                 for c in group:
-                    self._remember(c, np.array(self.tokenizer.encode(c, add_special_tokens=False).ids, dtype=np.uint32))
+                    self._remember(c)
                 continue
-            base = self.used
-            need = base + len(ids)
-            if need > len(self.ids):
-                self.ids = np.concatenate([self.ids, np.zeros(max(len(self.ids), len(ids)), dtype=np.uint32)])
-            self.ids[base:need] = ids
-            at = len(self.starts)
-            self.memory.update(zip(group, range(at, at + len(group)), strict=True))
-            self.starts.extend((lows + base).tolist())
-            self.lengths.extend((highs - lows).tolist())
-            self.used = need
-        for c in set(chunks).difference(plain):
-            self._remember(c, np.array(self.tokenizer.encode(c, add_special_tokens=False).ids, dtype=np.uint32))
+            lengths = np.diff(np.concatenate([[-1], cuts, [len(ids)]])) - 1
+            self.cores.update(zip(group, self._append(ids[~is_mark], lengths).tolist(), strict=True))
+        for c in set(cores).difference(plain):
+            self._remember(c)
+
+    def _learn(self, chunks: list[str]) -> None:
+        parts = [self._parts(c) for c in chunks]
+        cores = self.cores
+        new = {c for c in chain.from_iterable(parts) if c not in cores}
+        if new:
+            self._encode_new(list(new))
+        whole = [(c, cores[a]) for c, (a, b) in zip(chunks, parts, strict=True) if not b]
+        self.memory.update(whole)
+        split = [(c, cores[a], cores[b]) for c, (a, b) in zip(chunks, parts, strict=True) if b]
+        if split:
+            names, core, tail = zip(*split, strict=True)
+            runs = np.empty(2 * len(names), dtype=np.int64)
+            runs[0::2], runs[1::2] = core, tail
+            ids, ends = self._gather(runs)
+            self.memory.update(zip(names, self._append(ids, np.diff(ends[1::2], prepend=0)).tolist(), strict=True))
 
     @staticmethod
     def _parts(chunk: str) -> tuple[str, str]:
@@ -105,36 +135,30 @@ class Encoder:
         return core, chunk[len(core) :]
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.memory) > MEMORY:
+        if len(self.memory) > MEMORY or self.used > 1 << 30:
             self._reset()
         raw, offsets = text_bytes(column)
         n = len(offsets) - 1
-        texts = pa.LargeStringArray.from_buffers(n, pa.py_buffer(offsets.astype(np.int64)), pa.py_buffer(raw.translate(_ASCII_BLANKS)))
+        # the tokenizer lowers letters itself, after composing marks with them and after finding its
+        # special tokens; without either in the block, lowering first changes nothing but the number of chunks
+        lower_first = b"\xcc" not in raw and b"\xcd" not in raw and b"<|" not in raw
+        texts = pa.LargeStringArray.from_buffers(n, pa.py_buffer(offsets.astype(np.int64)), pa.py_buffer(raw.translate(LOWER_BYTES if lower_first else _ASCII_BLANKS)))
         lists = pc.ascii_split_whitespace(texts)
         flat = lists.flatten().dictionary_encode()
         bounds = lists.offsets.to_numpy()
         bounds = bounds - bounds[0]
-        parts = [self._parts(c) for c in flat.dictionary.to_pylist()]
+        chunks = flat.dictionary.to_pylist()
         memory = self.memory
-        new = {c for c in chain.from_iterable(parts) if c not in memory}
+        new = [c for c in chunks if c not in memory]
         if new:
-            self._encode_new(list(new))
-        core = np.fromiter((memory[a] for a, _ in parts), dtype=np.int64, count=len(parts))
-        tail = np.fromiter((memory[b] for _, b in parts), dtype=np.int64, count=len(parts))
-        which = flat.indices.to_numpy()
-        starts, lengths = np.array(self.starts, dtype=np.int64), np.array(self.lengths, dtype=np.int64)
-        # sequence of (start, length) runs: core and tail of each chunk, with END_ID after each text
-        runs = np.empty(2 * len(which), dtype=np.int64)
-        runs[0::2], runs[1::2] = core[which], tail[which]
-        run_lengths = lengths[runs]
-        ends = np.concatenate([[0], np.cumsum(run_lengths)])
-        total = int(ends[-1])
-        source = np.arange(total) + np.repeat(starts[runs] - ends[:-1], run_lengths)
-        text_ends = ends[2 * bounds[1:]]
-        out = np.empty(total + n, dtype=np.uint32)
+            self._learn(new)
+        entry = np.fromiter(map(memory.__getitem__, chunks), dtype=np.int64, count=len(chunks))
+        ids, ends = self._gather(entry[flat.indices.to_numpy()])
+        text_ends = np.concatenate([[0], ends])[bounds[1:]]
+        out = np.empty(len(ids) + n, dtype=np.uint32)
         stop = text_ends + np.arange(n)
-        keep = np.ones(total + n, dtype=bool)
+        keep = np.ones(len(out), dtype=bool)
         keep[stop] = False
-        out[keep] = self.ids[source]
+        out[keep] = ids
         out[stop] = END_ID
         return out, np.concatenate([[0], stop + 1])
