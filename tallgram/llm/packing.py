@@ -25,11 +25,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tallgram.llm.common import blocks
-from tallgram.llm.tokens import Encoder, vocabulary_path
+from tallgram.llm.tokens import TOKEN_BLOCK_BYTES, Encoder, vocabulary_path
 
 SEQUENCE = 2048
 #: Items that wait for a place at once.
-WINDOW = 3000
+WINDOW = 800
 
 
 @dataclass(frozen=True)
@@ -142,7 +142,7 @@ def pack_documents(docs: DataFrame, limits: Limits = Limits(), vocabulary: str |
                     del waiting[item]
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*out, strict=True) if out else [[]] * 7)], names=_NAMES)
 
-        for block in blocks(batches):
+        for block in blocks(batches, max_bytes=TOKEN_BLOCK_BYTES):
             ids, offsets = encoder.encode(block.column("text"))
             ids = ids.astype("<u4")
             keys = block.column("doc_id").to_pylist()
