@@ -333,3 +333,20 @@ class NearDuplicates:
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     return NearDuplicates(docs, threshold).classes()
+
+
+def keep_one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """Rows of docs, all columns, without those that repeat another: one row of each class stays.
+
+    Rows of one doc_id are one document, of which one row stays; rows without a
+    doc_id or text all stay.
+    """
+    classes = stored(near_duplicates(docs.where("doc_id is not null"), threshold), "classes")
+    gone = classes.where("not is_kept").select("doc_id").distinct()
+    kept = docs.join(_bounded(gone, gone.count()), "doc_id", "left_anti").select(*docs.columns)
+    repeated = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    n = repeated.count()
+    if not n:
+        return kept
+    several = _bounded(repeated, n)
+    return kept.join(several, "doc_id", "left_anti").select(*docs.columns).unionByName(kept.join(several, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"]))

@@ -10,6 +10,7 @@ from tallgram.llm.common import table
 from tallgram.llm.decontaminate import contamination
 from tallgram.llm.html_text import extract_main_text
 from tallgram.llm.language import identify
+from tallgram.llm.language_model import scores
 from tallgram.llm.media import media_digests
 from tallgram.llm.near_dups import near_duplicates
 from tallgram.llm.packing import pack_documents
@@ -38,6 +39,10 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"))
 
 
+def op6_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scores(table(spark, sf_dir, "documents"))
+
+
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -55,7 +60,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op7_decontamination, op8_shards, op9_near_dups, op10_toxicity)}
+    return {f.__name__: f for f in (op1_main_text, op2_language, op3_media, op4_token_store, op5_packing, op6_lm_scores, op7_decontamination, op8_shards, op9_near_dups, op10_toxicity)}
 
 
 def oracle_sql() -> dict[str, str]:
