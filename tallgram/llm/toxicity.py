@@ -7,8 +7,8 @@ word, the heaviest counts. Exception phrases take back what they cover. The sum
 weights, divided by a slowly growing function of the length, goes through a
 logistic curve to a score from 0 to 1.
 
-Weights are log-odds ratios of document counts over *all* labelled training rows,
-added up before the shuffle; entries need ``least_rows`` toxic rows. A small list
+Weights are log-odds ratios of document counts over the labelled training rows
+(``LABELLED_ROWS`` at most), added up before the shuffle; entries need ``least_rows`` toxic rows. A small list
 of common words stands in where labels say nothing.
 
 Defined results: null and empty texts have no match and get the score of no match;
@@ -38,6 +38,8 @@ LEAST_ROWS = 4
 LEAST_WEIGHT = 3.5
 #: Likelihood-ratio statistic an entry needs: millions are tried, so chance gives values over 25 now and then.
 LEAST_EVIDENCE = 26.0
+#: Labelled rows that are learned from at most (16 bytes each are broadcast).
+LABELLED_ROWS = 1_000_000
 #: Entries kept (the most telling ones); bounds the lexicon whatever the corpus.
 ENTRIES = 20_000
 
@@ -128,10 +130,18 @@ class Lexicon:
         return 1.0 / (1.0 + math.exp(-max(-40.0, min(40.0, self.slope * self.feature(text) + self.bias))))
 
 
-def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Training texts with toxic 0 or 1: labelled rows that are not held out."""
-    marks = labels.where("toxic is not null and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").alias("_toxic"))
-    return docs.select("doc_id", "text").where(~split_rule(5, 0)).join(marks, "doc_id").select("text", (F.col("_toxic") > 0).alias("toxic"))
+def _labelled(docs: DataFrame, labels: DataFrame, labelled_rows: int) -> DataFrame:
+    """Training texts with toxic 0 or 1: labelled rows that are not held out.
+
+    Labels are small rows beside texts, so they are broadcast; labelled_rows bounds
+    them (a hash of doc_id chooses which are used if there are more).
+    """
+    marks = labels.where("toxic is not null and doc_id is not null").where(~split_rule(5, 0)).groupBy("doc_id").agg(F.max("toxic").alias("_toxic"))
+    n = marks.count()
+    if n > labelled_rows:
+        draw = F.shiftrightunsigned(F.xxhash64(F.lit(11), "doc_id"), 11) * F.lit(2.0**-53)
+        marks = marks.where(draw < labelled_rows / n)
+    return docs.select("doc_id", "text").join(F.broadcast(marks), "doc_id").select("text", (F.col("_toxic") > 0).alias("toxic"))
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -152,10 +162,10 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array([""]), pa.array([rows[True]], pa.int64()), pa.array([rows[False]], pa.int64())], names=["entry", "toxic", "clean"])
 
 
-def fit(docs: DataFrame, labels: DataFrame, least_rows: int = LEAST_ROWS, entries: int = ENTRIES) -> Lexicon:
-    """Learn weights and curve from all labelled rows that are not held out."""
+def fit(docs: DataFrame, labels: DataFrame, least_rows: int = LEAST_ROWS, entries: int = ENTRIES, labelled_rows: int = LABELLED_ROWS) -> Lexicon:
+    """Learn weights and curve from the labelled rows that are not held out, labelled_rows at most."""
     spark = docs.sparkSession
-    rows = _labelled(docs, labels)
+    rows = _labelled(docs, labels, labelled_rows)
     totals = rows.groupBy("toxic").count().collect()
     n_toxic, n_clean = (sum(r["count"] for r in totals if r["toxic"] == t) for t in (True, False))
     if not n_toxic or not n_clean:
