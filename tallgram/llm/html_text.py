@@ -93,9 +93,10 @@ class Lines:
         self._links = 0
         self._read(page)
 
-    def _end_line(self, article: int) -> None:
+    def _end_line(self, article: int, gap: bool = False) -> None:
+        """End the current line if it has text; gap: put an empty line where something was left out."""
         text = " ".join("".join(self._buffer).split())
-        if text or (self.text and self.text[-1]):
+        if text or gap:
             self.text.append(text)
             self.size.append(len(text))
             self.link.append(self._links)
@@ -147,7 +148,7 @@ class Lines:
             kind = _kind(tag, m[3], bool(open_articles))
             if kind == "chrome":
                 self._end_line(here)
-                self._end_line(here)
+                self._end_line(here, gap=True)
                 at = self._skip(page, tag, at)
                 continue
             if tag in BLOCK:
