@@ -9,9 +9,10 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def cosine_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     """Cosine of two array columns; null if either is null or has no length."""
 
@@ -25,13 +26,13 @@ def cosine_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype=object)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def l2_norm_udaf(v: pd.Series) -> float:
     """Norm of a group's values (a grouped aggregate)."""
     return float(np.sqrt((v.to_numpy(dtype=float) ** 2).sum()))
 
 
-@F.udtf(returnType="i int, j int, v double")
+@F.udtf(returnType=T.StructType([T.StructField("i", T.IntegerType()), T.StructField("j", T.IntegerType()), T.StructField("v", T.DoubleType())]))
 class EmitPairs:
     """Table function over a row's entries: every pair i < j with its product."""
 
