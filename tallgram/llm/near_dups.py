@@ -42,7 +42,7 @@ SHINGLE = 5
 THRESHOLD = 0.8
 BANDS, ROWS = 26, 5
 #: Shingles of one side in a task that compares the rest of a group.
-CHUNK = 1_000_000
+CHUNK = 250_000
 #: Rows up to which a side of ids is broadcast (16 bytes a row); beyond it both sides are shuffled.
 BROADCAST_ROWS = 1_000_000
 
@@ -149,7 +149,7 @@ def _signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """doc_id, a 128-bit text hash, shingle count and band keys."""
     import xxhash
 
-    for batch in blocks(batches):
+    for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
         texts = batch.column("text")
         words = Words(texts)
         row, value, many = bags(*shingle_hashes(words))
@@ -163,7 +163,7 @@ def _signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _shingle_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """node, band keys and shingles; the k-th copy of a shingle has a value of its own, so sets of values are bags."""
-    for batch in blocks(batches, max_bytes=4 << 20):
+    for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
         row, value, many = bags(*shingle_hashes(Words(batch.column("text"))))
         keys = band_keys(bag_signatures(row, value, many, batch.num_rows, BANDS * ROWS)).view(np.int64)
         source = np.repeat(np.arange(len(row)), many)
@@ -246,12 +246,14 @@ class NearDuplicates:
     def _nodes(self) -> None:
         signed = stored(self.docs.where("doc_id is not null and text is not null").mapInArrow(_signed, "doc_id long, digest binary, size long, bands array<bigint>"), "signed")
         # one node for each distinct text, named by its smallest doc_id; partial minima before the shuffle
-        nodes = signed.groupBy("digest").agg(F.min("doc_id").alias("node"))
+        # (stored, so that the join below has exchanges of its own, which Spark may split where a text is hot)
+        nodes = stored(signed.groupBy("digest").agg(F.min("doc_id").alias("node")), "nodes")
         self.members = stored(signed.select("doc_id", "digest").join(nodes, "digest").select("doc_id", "node"), "members")
         heads = self.members.where("doc_id = node").select("node").distinct()
         unique = signed.select(F.col("doc_id").alias("node"), "size", "bands").join(heads, "node").where("size > 0")
         keyed = unique.select("node", "size", F.posexplode("bands").alias("band", "key"))
         groups = keyed.groupBy("key").agg(F.count("*").alias("n"), F.min(F.struct("node", "size")).alias("least")).where("n > 1").select("key", "n", F.col("least.node").alias("first"), F.col("least.size").alias("first_size"))
+        groups = stored(groups, "keys")
         self.grouped = stored(keyed.join(groups, "key"), "groups")  # members of groups of two and more
 
     def _bags(self) -> None:
