@@ -10,7 +10,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
-from conftest import *  # noqa: F403
+from corpus_rows import prose
 
 import corpus_pipeline
 from tallgram.llm import language_model, near_dups, packing, sharding, token_store
@@ -239,7 +239,7 @@ def brute_classes(rows):
 
 def near_copies(n, seed, edits):
     random.seed(seed)
-    base = prose(200, seed).split()  # noqa: F405
+    base = prose(200, seed).split()
     out = []
     for _ in range(n):
         w = list(base)
@@ -254,7 +254,7 @@ def test_near_duplicates_equal_brute_force(spark, edge_docs, edge_rows, no_docs)
     assert got == brute_classes([(r[0], r[1]) for r in edge_rows])
     assert near_dups.near_duplicates(no_docs).count() == 0
     # copies so far apart that a first member links to some of its group only
-    texts = near_copies(60, 1, 4) + near_copies(30, 2, 2) + near_copies(20, 3, 0) + [prose(200, 50 + i) for i in range(30)]  # noqa: F405
+    texts = near_copies(60, 1, 4) + near_copies(30, 2, 2) + near_copies(20, 3, 0) + [prose(200, 50 + i) for i in range(30)]
     rows = list(enumerate(texts))
     random.shuffle(rows)
     docs = spark.createDataFrame(rows, "doc_id long, text string")

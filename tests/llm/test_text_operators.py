@@ -9,7 +9,7 @@ import zlib
 from collections import defaultdict
 
 import pytest
-from conftest import *  # noqa: F403
+from corpus_rows import prose
 from pyspark.sql import functions as F
 
 from tallgram.llm import decontaminate, html_text, language, media, toxicity
@@ -148,7 +148,7 @@ def test_toxicity_learns_words_and_beginnings(spark):
     rows, marks = [], []
     for i in range(400):
         bad = i % 8 == 0
-        text = prose(60, i) + ((" plonk" if i % 16 else f" zorg{'abcdefgh'[i // 16 % 8]}ian") if bad else " zone plant")  # noqa: F405
+        text = prose(60, i) + ((" plonk" if i % 16 else f" zorg{'abcdefgh'[i // 16 % 8]}ian") if bad else " zone plant")
         rows.append((i, text))
         marks.append((i, 1, int(bad)))
     docs = spark.createDataFrame(rows, "doc_id long, text string")
