@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tallgram.llm.common import stored, table
+from tallgram.llm.common import bounded_batches, stored, table
 from tallgram.llm.decontaminate import keep_uncontaminated
 from tallgram.llm.language import keep_identified
 from tallgram.llm.near_dups import keep_one_of_each_class
@@ -19,6 +19,7 @@ from tallgram.llm.toxicity import keep_clean
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts in which no language can be told (null, or no letters) go."""
+    bounded_batches(spark)
     return keep_identified(docs)
 
 
@@ -29,6 +30,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of copies and near copies the row with the smallest doc_id stays."""
+    bounded_batches(spark)
     return keep_one_of_each_class(docs)
 
 
@@ -39,6 +41,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token pieces in sequences of 2048."""
+    bounded_batches(spark)
     return pack_documents(docs)
 
 

@@ -7,10 +7,12 @@ vectorised helper that runs inside an Arrow batch. Nothing collects rows.
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -19,10 +21,23 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that a Python worker handles at once; bounds its memory.
-BLOCK_BYTES = 6 << 20
+BLOCK_BYTES = 3 << 20
+
+
+#: Rows of an Arrow batch at most: rows are whole texts here, and batches live in both the JVM and the worker.
+BATCH_ROWS = 2000
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """Lower the session's Arrow batch rows to BATCH_ROWS if they are more (a setting that may change at any time)."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    bounded_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -53,6 +68,7 @@ def scratch(spark: SparkSession, name: str) -> str:
 def stored(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: a lineage cut that any executor can redo from."""
     spark = df.sparkSession
+    bounded_batches(spark)
     path = scratch(spark, name)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
@@ -66,8 +82,34 @@ def split_rule(modulus: int, remainder: int, doc_id: str = "doc_id"):
 # --- Arrow blocks -----------------------------------------------------------
 
 
-def blocks(batches: Iterator[pa.RecordBatch], text: str = "text", max_bytes: int = BLOCK_BYTES) -> Iterator[pa.RecordBatch]:
-    """Cut batches into runs of rows whose text is about max_bytes (one row at least)."""
+#: What operators remember in a worker between tasks: owner to a function that forgets it.
+remembered: dict[str, Callable[[], None]] = {}
+
+
+def trim() -> None:
+    """Give freed memory back: a worker lives on after its task, beside others."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not glibc
+        pass
+
+
+def blocks(batches: Iterator[pa.RecordBatch], text: str = "text", max_bytes: int = BLOCK_BYTES, owner: str = "") -> Iterator[pa.RecordBatch]:
+    """Cut batches into runs of rows whose text is about max_bytes (one row at least).
+
+    What other owners remember in this worker is forgotten first.
+    """
+    for name, forget in remembered.items():
+        if name != owner:
+            forget()
+    trim()
+    yield from _cut(batches, text, max_bytes)
+    trim()
+
+
+def _cut(batches: Iterator[pa.RecordBatch], text: str, max_bytes: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -101,6 +143,7 @@ _BYTE_VALUES = _SEED.integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) +
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BASE_INVERSE = pow(_BASE, -1, 1 << 64)
 _powers: dict[str, np.ndarray] = {}
+remembered["words"] = _powers.clear
 
 
 def _powers_of(which: str, n: int) -> np.ndarray:

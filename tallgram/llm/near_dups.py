@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallgram.llm.common import Words, blocks, mix64, stored
+from tallgram.llm.common import Words, blocks, mix64, stored, trim
 
 SHINGLE = 5
 THRESHOLD = 0.8
@@ -194,6 +194,8 @@ def _overlaps(batches: Iterator[pa.RecordBatch], threshold: float) -> Iterator[p
                 similarity.append(j)
         kept = batch.take(pa.array(keep, pa.int64()))
         yield pa.RecordBatch.from_arrays([kept.column("a"), kept.column("b"), pa.array(similarity, pa.float64())], names=["a", "b", "similarity"])
+        del batch, left, right, kept
+    trim()
 
 
 def _rest_of_group(rows: pa.Table, threshold: float) -> pa.Table:
