@@ -322,3 +322,18 @@ def test_pipeline_with_edge_rows(spark, edge_docs, edge_rows):
     kept = [r["doc_id"] for r in docs.collect()]
     assert sorted(i for i in kept if i is not None and 100 <= i <= 109) == [100, 106, 107, 108] and kept.count(None) == 1
     assert corpus_pipeline.STAGES[-1][1](spark, docs, SMALL).count() >= len(kept)
+
+
+def test_encoder_that_forgets_is_still_right(tokenizer, monkeypatch):
+    import pyarrow as pa
+
+    from tallgram.llm import tokens
+
+    monkeypatch.setattr(tokens, "MEMORY", 40)
+    encoder = Encoder(vocabulary_path())
+    for part in range(6):
+        texts = [prose(60, 10 * part + i) + f" new{part}word unseen{'abcdef'[part]}." for i in range(8)]
+        flat, offsets = encoder.encode(pa.array(texts))
+        for k, t in enumerate(texts):
+            assert flat[offsets[k] : offsets[k + 1]].tolist() == ids_of(tokenizer, t).tolist()
+    assert len(encoder.memory) < 200
