@@ -142,7 +142,7 @@ def pack_documents(docs: DataFrame, limits: Limits = Limits(), vocabulary: str |
                     del waiting[item]
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*out, strict=True) if out else [[]] * 7)], names=_NAMES)
 
-        for block in blocks(batches, max_bytes=TOKEN_BLOCK_BYTES):
+        for block in blocks(batches, max_bytes=TOKEN_BLOCK_BYTES, owner="tokens"):
             ids, offsets = encoder.encode(block.column("text"))
             ids = ids.astype("<u4")
             keys = block.column("doc_id").to_pylist()

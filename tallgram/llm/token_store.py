@@ -126,7 +126,7 @@ def write_token_store(docs: DataFrame, path: str, vocabulary: str | None = None)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, part, before = Encoder.at(vocabulary), TaskContext.get().partitionId(), 0
-        for seg, block in enumerate(blocks(batches, max_bytes=TOKEN_BLOCK_BYTES)):
+        for seg, block in enumerate(blocks(batches, max_bytes=TOKEN_BLOCK_BYTES, owner="tokens")):
             ids, offsets = encoder.encode(block.column("text"))
             keys = block.column("doc_id").to_pylist()
             width = 2 if len(ids) and ids.max() < 1 << 16 else 4
