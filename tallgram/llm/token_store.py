@@ -26,9 +26,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tallgram.llm.common import blocks, mix64, scratch
-from tallgram.llm.tokens import TOKEN_BLOCK_BYTES, Encoder, vocabulary_path
+from tallgram.llm.tokens import Encoder, vocabulary_path
 
 KEYS_PER_BUCKET = 4
+#: Text of a segment at most, and chunks a worker remembers while it writes.
+SEGMENT_BYTES = 12 << 20
+ENCODER_MEMORY = 1_000_000
 _NULL_KEY = np.uint64(0x5851F42D4C957F2D)
 _SLOT = np.dtype([("fingerprint", "<u4"), ("first", "<u8"), ("count", "<u4")])
 
@@ -125,8 +128,8 @@ def write_token_store(docs: DataFrame, path: str, vocabulary: str | None = None)
     vocabulary = vocabulary or vocabulary_path()
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, part, before = Encoder.at(vocabulary), TaskContext.get().partitionId(), 0
-        for seg, block in enumerate(blocks(batches, max_bytes=TOKEN_BLOCK_BYTES, owner="tokens")):
+        encoder, part, before = Encoder.at(vocabulary, ENCODER_MEMORY), TaskContext.get().partitionId(), 0
+        for seg, block in enumerate(blocks(batches, max_bytes=SEGMENT_BYTES, owner="tokens")):
             ids, offsets = encoder.encode(block.column("text"))
             keys = block.column("doc_id").to_pylist()
             width = 2 if len(ids) and ids.max() < 1 << 16 else 4

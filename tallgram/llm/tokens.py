@@ -42,7 +42,8 @@ class Encoder:
 
     _open: dict[str, Encoder] = {}
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, memory: int | None = None):
+        self.most = memory
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
@@ -59,10 +60,12 @@ class Encoder:
         self.mark = mark[0] if len(mark) == 1 else None
 
     @classmethod
-    def at(cls, path: str) -> Encoder:
+    def at(cls, path: str, memory: int | None = None) -> Encoder:
+        """The worker's encoder of a vocabulary file; memory: chunks it remembers (MEMORY by default)."""
         remembered["tokens"] = cls._open.clear
         if path not in cls._open:
             cls._open[path] = cls(path)
+        cls._open[path].most = memory
         return cls._open[path]
 
     def _reset(self) -> None:
@@ -78,7 +81,7 @@ class Encoder:
         """Keep the entries that most blocks have, at most half of MEMORY."""
         seen = self.seen[: self.entries]
         least = 2
-        while np.count_nonzero(seen >= least) > MEMORY // 2:
+        while np.count_nonzero(seen >= least) > (self.most or MEMORY) // 2:
             least += 1
         keep = np.flatnonzero(seen >= least)
         place = np.full(self.entries, -1, dtype=np.int64)
@@ -177,7 +180,7 @@ class Encoder:
         return core, chunk[len(core) :]
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.memory) > MEMORY or self.used > 1 << 30:
+        if len(self.memory) > (self.most or MEMORY) or self.used > 1 << 30:
             self._forget()
         raw, offsets = text_bytes(column)
         n = len(offsets) - 1
