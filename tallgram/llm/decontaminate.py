@@ -7,8 +7,11 @@ binary search in every shard; the places in the found range are verbatim matches
 Neighbouring matches on one diagonal join to longest matches with their places.
 
 Only test words get numbers, so places that cannot match never enter the array,
-and nothing is shuffled. Test items are sent to the workers in chunks of
-``CHUNK_BYTES``; one chunk is the usual case, more are combined by document.
+and nothing is shuffled. Test items go to the workers in chunks of ``CHUNK_BYTES``,
+each a broadcast of its own. A task reads its documents once: for each block of
+texts it opens one chunk after another, holds one of them at a time, and adds what
+that chunk hits to the rows of the block. So results don't depend on the size of
+the benchmark, and neither does a task's memory.
 
 Words are compared by 64-bit hashes. Defined results: null and empty texts have no
 words and no hit; items without words match nothing; items shorter than a window
@@ -31,7 +34,7 @@ from tallgram.llm.common import Words, blocks
 
 WINDOW = 10
 #: Bytes of test text that one broadcast index covers (its index takes about 30 times as much).
-CHUNK_BYTES = 8 << 20
+CHUNK_BYTES = 4 << 20
 
 
 @dataclass
@@ -97,13 +100,11 @@ class Shard:
     keys: np.ndarray
 
     @classmethod
-    def of(cls, column: pa.Array, tests: Tests) -> Shard:
-        words = Words(column)
+    def of(cls, words: Words, h: np.ndarray, tests: Tests) -> Shard:
         first = np.cumsum(words.per_row) - words.per_row
         none = np.zeros(0, dtype=np.int64)
         if not len(tests.lengths) or not len(words.start):
             return cls(words.row, first, words.per_row, none, np.zeros(0, dtype="S4"))
-        h = words.hashes()
         at = np.searchsorted(tests.vocabulary, h)
         at[at == len(tests.vocabulary)] = 0
         number = np.where(tests.vocabulary[at] == h, at + 1, 0).astype(np.uint32)
@@ -137,15 +138,6 @@ class Shard:
         return self.places[np.arange(many.sum()) + np.repeat(low - np.cumsum(many) + many, many)], window
 
 
-def _item_hits(shard: Shard, tests: Tests, place: np.ndarray, window: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct (row, item) of the occurrences."""
-    pairs = np.unique(np.column_stack([shard.row[place], window]), axis=0)
-    many = np.diff(tests.begin)[pairs[:, 1]]
-    item = tests.at_item[np.arange(many.sum()) + np.repeat(tests.begin[pairs[:, 1]] - np.cumsum(many) + many, many)]
-    both = np.unique(np.column_stack([np.repeat(pairs[:, 0], many), item]), axis=0)
-    return both[:, 0], both[:, 1]
-
-
 def _covered(shard: Shard, tests: Tests, place: np.ndarray, window: np.ndarray) -> np.ndarray:
     """Which words of the shard lie in an occurrence."""
     edge = np.zeros(len(shard.row) + 1, dtype=np.int64)
@@ -158,126 +150,136 @@ def digest(items: list) -> str:
     return hashlib.sha256(",".join(sorted(str(i) for i in items)).encode()).hexdigest()
 
 
-def _chunks(benchmark: DataFrame) -> list[tuple[list, list]]:
-    """Test items in chunks of CHUNK_BYTES; more than one only if the table is larger than that."""
-    rows = benchmark.select("item_id", "text").where("text is not null")
-    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    n = max(1, -(-size // CHUNK_BYTES))
-    out = []
-    for k in range(n):
-        part = rows if n == 1 else rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k)
-        found = part.toArrow()
-        out.append((found.column("item_id").to_pylist(), found.column("text").to_pylist()))
-    return out
+class Indexes:
+    """The test indexes of a benchmark, one broadcast a chunk: ``each`` opens them in a task, one at a time."""
 
+    def __init__(self, benchmark: DataFrame, window: int):
+        spark = benchmark.sparkSession
+        rows = benchmark.select("item_id", "text").where("text is not null")
+        size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        n = max(1, -(-size // CHUNK_BYTES))
+        self.chunks = []
+        for k in range(n):  # one chunk at a time is in the driver
+            part = rows if n == 1 else rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k)
+            found = part.toArrow()
+            self.chunks.append(spark.sparkContext.broadcast(Tests.of(found.column("item_id").to_pylist(), found.column("text").to_pylist(), window)))
 
-def _hits(docs: DataFrame, tests: Tests) -> DataFrame:
-    """For one chunk: doc_id, covered ranges and item ids of documents with a hit, and n_words of all."""
-    shared = docs.sparkSession.sparkContext.broadcast(tests)
-    schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("low", pa.list_(pa.int64())), ("high", pa.list_(pa.int64())), ("items", pa.list_(pa.string()))])
+    @property
+    def block_bytes(self) -> int:
+        """Text of a block: more where several chunks must be opened for it."""
+        return (2 if len(self.chunks) == 1 else 8) << 20
+
+    def each(self) -> Iterator[Tests]:
+        for chunk in self.chunks:
+            yield chunk.value
+            if len(self.chunks) > 1:  # a worker keeps a broadcast it has opened; the file stays for the next block
+                chunk.__dict__.pop("_value", None)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tests = shared.value
-        for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
-            shard = Shard.of(batch.column("text"), tests)
-            place, window = shard.search(tests)
-            low = [[] for _ in range(batch.num_rows)]
-            high = [[] for _ in range(batch.num_rows)]
-            items = [[] for _ in range(batch.num_rows)]
-            if len(place):
-                edge = np.diff(np.concatenate([[0], _covered(shard, tests, place, window).astype(np.int8), [0]]))
-                # a run over the end of a document is two runs: none, as occurrences end with their document
-                starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-                for a, b in zip(starts.tolist(), ends.tolist(), strict=True):
-                    while a < b:
-                        r = int(shard.row[a])
-                        stop = min(b, int(shard.first[r] + shard.per_row[r]))
-                        low[r].append(a - int(shard.first[r]))
-                        high[r].append(stop - int(shard.first[r]))
-                        a = stop
-                for r, i in zip(*(x.tolist() for x in _item_hits(shard, tests, place, window)), strict=True):
-                    items[r].append(str(tests.ids[i]))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(shard.per_row, pa.int64()), pa.array(low, schema.field("low").type), pa.array(high, schema.field("high").type), pa.array(items, schema.field("items").type)], schema=schema)
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_words long, low array<bigint>, high array<bigint>, items array<string>")
-
-
-def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        out = []
-        for doc, n, low, high, items in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-            merged: list[list[int]] = []
-            for a, b in sorted(zip(low, high, strict=True)):
-                if merged and a <= merged[-1][1]:
-                    merged[-1][1] = max(merged[-1][1], b)
-                else:
-                    merged.append([a, b])
-            hit = sum(b - a for a, b in merged)
-            items = sorted(set(items))
-            out.append((doc, n, hit, len(items), digest(items), hit > 0, [a for a, _ in merged], [b for _, b in merged]))
-        kinds = [pa.int64()] * 4 + [pa.string(), pa.bool_(), pa.list_(pa.int64()), pa.list_(pa.int64())]
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True) if out else [[]] * 8, kinds, strict=True)], names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "low", "high"])
+
+@dataclass
+class Matches:
+    """Longest verbatim matches of a block: row, item, first word in the document and in the item, words."""
+
+    row: np.ndarray
+    item: np.ndarray
+    doc_word: np.ndarray
+    item_word: np.ndarray
+    n_words: np.ndarray
+
+    @classmethod
+    def of(cls, shard: Shard, tests: Tests, place: np.ndarray, window: np.ndarray) -> Matches:
+        """Occurrences that follow one another in both texts join to one match."""
+        many = np.diff(tests.begin)[window] if len(place) else np.zeros(0, dtype=np.int64)
+        at = np.arange(many.sum()) + np.repeat(tests.begin[window] - np.cumsum(many) + many, many) if len(place) else many
+        place, size = np.repeat(place, many), np.repeat(tests.lengths[window], many)
+        item, word = tests.at_item[at], tests.at_word[at]
+        order = np.lexsort([place, place - word, item])
+        place, size, item, word = place[order], size[order], item[order], word[order]
+        new = np.ones(len(place), dtype=bool)
+        new[1:] = (item[1:] != item[:-1]) | ((place - word)[1:] != (place - word)[:-1]) | (place[1:] != place[:-1] + 1) | (shard.row[place[1:]] != shard.row[place[:-1]])
+        begin = np.flatnonzero(new)
+        last = np.append(begin[1:], len(place))[: len(begin)] - 1
+        row = shard.row[place[begin]]
+        return cls(row, item[begin], place[begin] - shard.first[row], word[begin], place[last] + size[last] - place[begin])
+
+
+_RESULT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, longest long, low array<bigint>, high array<bigint>"
+_KINDS = [pa.int64()] * 4 + [pa.string(), pa.bool_(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+
+
+def _ranges(covered: np.ndarray) -> tuple[list[int], list[int]]:
+    """Begin and end of each run of covered words of one document."""
+    edge = np.diff(np.concatenate([[0], covered.astype(np.int8), [0]]))
+    return np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist()
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, low, high (hit word ranges) of every document."""
-    chunks = _chunks(benchmark)
-    hits = None
-    for ids, texts in chunks:
-        one = _hits(docs, Tests.of(ids, texts, window))
-        hits = one if hits is None else hits.unionByName(one)
-    if len(chunks) > 1:  # the ranges of a document from all chunks; rows of one id and word count become one row
-        flat = lambda c: F.flatten(F.collect_list(c)).alias(c)
-        hits = hits.groupBy("doc_id", "n_words").agg(flat("low"), flat("high"), flat("items"))
-    return hits.mapInArrow(_digests, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, low array<bigint>, high array<bigint>")
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, longest, low, high of every row.
 
+    longest: words of the longest verbatim match; low, high: hit word ranges. One
+    narrow pass over docs, whatever the number of chunks.
+    """
+    indexes = Indexes(benchmark, window)
 
-def longest_matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, item_id (text), doc_word, item_word, n_words of every longest verbatim match of a window or more."""
-    schema = pa.schema([("doc_id", pa.int64()), ("item_id", pa.string()), ("doc_word", pa.int64()), ("item_word", pa.int64()), ("n_words", pa.int64())])
-    out = None
-    for ids, texts in _chunks(benchmark):
-        shared = docs.sparkSession.sparkContext.broadcast(Tests.of(ids, texts, window))
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            tests = shared.value
-            for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
-                shard = Shard.of(batch.column("text"), tests)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches, max_bytes=indexes.block_bytes, owner="words"):
+            words = Words(batch.column("text"))
+            hashes = words.hashes()
+            covered = np.zeros(len(words.row), dtype=bool)
+            longest = np.zeros(batch.num_rows, dtype=np.int64)
+            items: dict[int, set[str]] = {}
+            for tests in indexes.each():
+                shard = Shard.of(words, hashes, tests)
                 place, found = shard.search(tests)
                 if not len(place):
                     continue
-                many = np.diff(tests.begin)[found]
-                at = np.arange(many.sum()) + np.repeat(tests.begin[found] - np.cumsum(many) + many, many)
-                place, size = np.repeat(place, many), np.repeat(tests.lengths[found], many)
-                item, word = tests.at_item[at], tests.at_word[at]
-                order = np.lexsort([place, place - word, item])
-                place, size, item, word = place[order], size[order], item[order], word[order]
-                new = np.ones(len(place), dtype=bool)
-                new[1:] = (item[1:] != item[:-1]) | ((place - word)[1:] != (place - word)[:-1]) | (place[1:] != place[:-1] + 1) | (shard.row[place[1:]] != shard.row[place[:-1]])
-                begin = np.flatnonzero(new)
-                last = np.append(begin[1:], len(place)) - 1
-                rows = shard.row[place[begin]]
-                doc_ids = batch.column("doc_id").to_pylist()
-                yield pa.RecordBatch.from_arrays([pa.array([doc_ids[r] for r in rows], pa.int64()), pa.array([str(tests.ids[i]) for i in item[begin]]), pa.array(place[begin] - shard.first[rows]), pa.array(word[begin]), pa.array(place[last] + size[last] - place[begin])], schema=schema)
-
-        one = docs.select("doc_id", "text").mapInArrow(run, "doc_id long, item_id string, doc_word long, item_word long, n_words long")
-        out = one if out is None else out.unionByName(one)
-    return out
+                covered |= _covered(shard, tests, place, found)
+                matches = Matches.of(shard, tests, place, found)
+                np.maximum.at(longest, matches.row, matches.n_words)
+                for r, i in zip(matches.row.tolist(), matches.item.tolist(), strict=True):
+                    items.setdefault(r, set()).add(str(tests.ids[i]))
+            first = np.cumsum(words.per_row) - words.per_row
+            nothing = digest([])
+            out = []
+            for r, (doc, n) in enumerate(zip(batch.column("doc_id").to_pylist(), words.per_row.tolist(), strict=True)):
+                if r not in items:
+                    out.append((doc, n, 0, 0, nothing, False, 0, [], []))
+                    continue
+                low, high = _ranges(covered[first[r] : first[r] + n])
+                out.append((doc, n, sum(high) - sum(low), len(items[r]), digest(list(items[r])), True, int(longest[r]), low, high))
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), _KINDS, strict=True)], names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "longest", "low", "high"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, _RESULT)
+
+
+def longest_matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+    """doc_id, item_id (text), doc_word, item_word, n_words of every longest verbatim match of a window or more."""
+    schema = pa.schema([("doc_id", pa.int64()), ("item_id", pa.string()), ("doc_word", pa.int64()), ("item_word", pa.int64()), ("n_words", pa.int64())])
+    indexes = Indexes(benchmark, window)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches, max_bytes=indexes.block_bytes, owner="words"):
+            words = Words(batch.column("text"))
+            hashes, doc_ids = words.hashes(), batch.column("doc_id").to_pylist()
+            for tests in indexes.each():
+                shard = Shard.of(words, hashes, tests)
+                m = Matches.of(shard, tests, *shard.search(tests))
+                yield pa.RecordBatch.from_arrays([pa.array([doc_ids[r] for r in m.row], pa.int64()), pa.array([str(tests.ids[i]) for i in m.item], pa.string()), pa.array(m.doc_word), pa.array(m.item_word), pa.array(m.n_words)], schema=schema)
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, item_id string, doc_word long, item_word long, n_words long")
 
 
 def keep_uncontaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """Rows of docs, all columns, without an occurrence of a test window. Chunk after chunk, no shuffle."""
-    for ids, texts in _chunks(benchmark):
-        shared = docs.sparkSession.sparkContext.broadcast(Tests.of(ids, texts, window))
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            tests = shared.value
-            for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
-                shard = Shard.of(batch.column("text"), tests)
-                place, _ = shard.search(tests)
-                keep = np.ones(batch.num_rows, dtype=bool)
-                keep[shard.row[place]] = False
-                yield batch.filter(pa.array(keep))
-
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+    """Rows of docs, all columns, without an occurrence of a test window. One narrow pass."""
+    indexes = Indexes(benchmark, window)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches, max_bytes=indexes.block_bytes, owner="words"):
+            words = Words(batch.column("text"))
+            hashes, keep = words.hashes(), np.ones(batch.num_rows, dtype=bool)
+            for tests in indexes.each():
+                shard = Shard.of(words, hashes, tests)
+                keep[shard.row[shard.search(tests)[0]]] = False
+            yield batch.filter(pa.array(keep))
+
+    return docs.mapInArrow(run, docs.schema)

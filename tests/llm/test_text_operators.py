@@ -223,8 +223,26 @@ def test_contamination_is_exact(spark, edge_docs, edge_rows, monkeypatch):
     kept = decontaminate.keep_uncontaminated(edge_docs, benchmark)
     assert kept.columns == edge_docs.columns and kept.count() == sum(not x[-1] for x in want)
     monkeypatch.setattr(decontaminate, "CHUNK_BYTES", 60)
-    chunked = decontaminate.contamination(edge_docs, benchmark).select(names).distinct().collect()
-    assert sorted((tuple(r) for r in chunked), key=str) == sorted(set(want), key=str)
+    chunked = decontaminate.contamination(edge_docs, benchmark)
+    assert len(decontaminate.Indexes(benchmark, 10).chunks) > 3
+    assert sorted((tuple(r) for r in chunked.select(names).collect()), key=str) == want  # repeated ids and all
+    assert decontaminate.keep_uncontaminated(edge_docs, benchmark).count() == kept.count()
+    assert "Exchange" not in chunked._jdf.queryExecution().executedPlan().toString()
+
+
+def test_rows_of_one_id_keep_their_own_hits(spark, monkeypatch):
+    """A clean text doesn't inherit what another text of the same id and length hits, however many chunks there are."""
+    hit, clean = prose(40, 3), prose(40, 4)
+    docs = spark.createDataFrame([(1, hit), (1, clean), (1, hit), (2, clean)], "doc_id long, text string")
+    items = [(k, prose(30, 3) if k == 5 else prose(30, 200 + k)) for k in range(12)]
+    benchmark = spark.createDataFrame(items, "item_id long, text string")
+    names = ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"]
+    want = brute_contamination([tuple(r) for r in docs.collect()], items)
+    for size in (1 << 20, 100):
+        monkeypatch.setattr(decontaminate, "CHUNK_BYTES", size)
+        rows = decontaminate.contamination(docs, benchmark).collect()
+        assert sorted((tuple(r[n] for n in names) for r in rows), key=str) == want
+        assert sorted(r["longest"] for r in rows) == [0, 0, 30, 30]
 
 
 def test_longest_matches_and_empties(spark, no_docs):
