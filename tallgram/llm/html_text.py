@@ -1,13 +1,19 @@
 """Main text of web pages by line-block distribution (operator 1).
 
-Markup is cut into lines at block-level tags, and structures that never hold the
-article (menus, site headers, footers, sidebars, notices, adverts, forms, reader
-comments, scripts, styles) become empty lines. Over the lines a window of
-``window`` lines slides and sums text lengths, link text counted against a line.
-The sum surges where running text begins and dives to nothing where it ends; the
-text between is kept. A page that marks its article (article, main, or a content
-class) has the points moved out to that element's ends, so short first and last
-paragraphs stay.
+Markup is cut into lines at block-level tags; scripts, styles, forms and the like
+are left out. A boundary of a container (division, section, list of links, footer
+...) stands for ``WINDOW`` empty lines, as in indented source. Over the lines a
+window slides and sums text lengths, each line less twice its link text. The sum
+surges where running text begins and dives to nothing where it ends: between are
+the page's blocks. The block with most text is the body, and the blocks whose text
+is at least ``SHARE`` of it belong to it; what lies between the first and the last
+is kept, but for lines of links.
+
+Element names, roles and class names decide only what the sums leave open. If the
+body lies in a marked article, the article's ends replace the ends of the blocks, so
+short first and last paragraphs stay. Blocks in menus, side bars, notices, adverts
+or reader comments go, unless the body itself lies there. Where no block reaches
+``DECISIVE`` characters, the sums say little, and a marked article wins over them.
 
 Defined results: null and empty html give an empty text; html without tags is one
 line of text; an unclosed tag ends with its page; repeated pages are repeated.
@@ -26,10 +32,14 @@ from tallgram.llm.common import blocks
 
 #: Lines that a window sums, and the sum at which running text begins.
 WINDOW, SURGE = 3, 80
+#: Share of the body's text that another block needs, and the text from which the sums alone decide.
+SHARE, DECISIVE = 0.15, 500
 
 # fixed values: elements and names by the HTML standard and common usage
 RAW = {"script", "style", "noscript", "template", "textarea", "iframe", "title", "svg", "math", "object", "select", "button", "option", "xmp", "noembed", "noframes", "canvas", "audio", "video", "datalist"}
-CHROME = {"nav", "footer", "aside", "form", "menu", "dialog", "search", "fieldset"}
+FORMS = {"form", "fieldset", "dialog"}
+CHROME = {"nav", "footer", "aside", "menu", "search"}
+CONTAINERS = set("address article aside body blockquote center details dir div dl figure footer header hgroup main menu nav ol search section table ul".split())
 BLOCK = set("address article aside blockquote body br center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup p pre search section summary table tbody td tfoot th thead tr ul".split())
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
 CHROME_NAMES = set(
@@ -81,34 +91,40 @@ def _kind(tag: str, attributes: str, inside: bool) -> str:
 
 
 class Lines:
-    """Lines of a page: text, length, link length, and the innermost marked article (0: none)."""
+    """Lines of a page: text, length, link length, and the innermost mark (an element that names itself; 0: none)."""
 
     def __init__(self, page: str):
         self.text: list[str] = []
         self.size: list[int] = []
         self.link: list[int] = []
-        self.article: list[int] = []
+        self.mark: list[int] = []
         self.parents: dict[int, int] = {}
+        self.kinds: dict[int, str] = {0: ""}
         self._buffer: list[str] = []
         self._links = 0
         self._read(page)
 
-    def _end_line(self, article: int, gap: bool = False) -> None:
-        """End the current line if it has text; gap: put an empty line where something was left out."""
+    def _end_line(self, mark: int, empty: int = 0) -> None:
+        """End the current line if it has text, and put empty lines after it."""
         text = " ".join("".join(self._buffer).split())
-        if text or gap:
+        if text:
             self.text.append(text)
             self.size.append(len(text))
             self.link.append(self._links)
-            self.article.append(article)
+            self.mark.append(mark)
         self._buffer, self._links = [], 0
+        for _ in range(empty):
+            self.text.append("")
+            self.size.append(0)
+            self.link.append(0)
+            self.mark.append(mark)
 
     def _read(self, page: str) -> None:
         at, n = 0, len(page)
         lowered = None
-        open_articles: list[tuple[str, int, int]] = []  # tag, id, depth of the same tag
+        open_marks: list[tuple[str, int, int]] = []  # tag, id, depth of the same tag
         depth: dict[str, int] = {}
-        links = serial = 0
+        links = serial = articles = 0
         while at < n:
             m = _TAG.search(page, at)
             piece = page[at : m.start()] if m else page[at:]
@@ -123,16 +139,18 @@ class Lines:
             tag = (m[2] or "").lower()
             if not tag:
                 continue
-            here = open_articles[-1][1] if open_articles else 0
+            here = open_marks[-1][1] if open_marks else 0
             if m[1]:
                 if tag == "a":
                     links = max(0, links - 1)
                 if tag in BLOCK:
-                    self._end_line(here)
+                    self._end_line(here, WINDOW if tag in CONTAINERS else 0)
                 if tag in depth:
                     depth[tag] = max(0, depth[tag] - 1)
-                while open_articles and open_articles[-1][0] == tag and depth.get(tag, 0) < open_articles[-1][2]:
-                    open_articles.pop()
+                    k = next((k for k in range(len(open_marks) - 1, -1, -1) if open_marks[k][0] == tag and depth[tag] < open_marks[k][2]), -1)
+                    if k >= 0:  # marks inside that were never closed end with it
+                        articles -= sum(self.kinds[o[1]] == "article" for o in open_marks[k:])
+                        del open_marks[k:]
                 continue
             if tag in RAW:
                 if m[3].endswith("/") and tag in ("svg", "math"):
@@ -145,22 +163,22 @@ class Lines:
                 if tag in BLOCK:
                     self._end_line(here)
                 continue
-            kind = _kind(tag, m[3], bool(open_articles))
-            if kind == "chrome":
-                self._end_line(here)
-                self._end_line(here, gap=True)
+            if tag in FORMS:
+                self._end_line(here, WINDOW)
                 at = self._skip(page, tag, at)
                 continue
             if tag in BLOCK:
-                self._end_line(here)
+                self._end_line(here, WINDOW if tag in CONTAINERS else 0)
             if tag == "a":
                 links += 1
             depth[tag] = depth.get(tag, 0) + 1
-            if kind == "article":
+            kind = _kind(tag, m[3], articles > 0)
+            if kind:
                 serial += 1
-                self.parents[serial] = here
-                open_articles.append((tag, serial, depth[tag]))
-        self._end_line(open_articles[-1][1] if open_articles else 0)
+                self.parents[serial], self.kinds[serial] = here, kind
+                open_marks.append((tag, serial, depth[tag]))
+                articles += kind == "article"
+        self._end_line(open_marks[-1][1] if open_marks else 0)
 
     @staticmethod
     def _skip(page: str, tag: str, at: int) -> int:
@@ -175,25 +193,49 @@ class Lines:
                 return m.end()
         return len(page)
 
+    def around(self, mark: int) -> list[int]:
+        """The mark and the marks around it, inner ones first."""
+        out = []
+        while mark:
+            out.append(mark)
+            mark = self.parents[mark]
+        return out
+
 
 def surge_and_dive(sizes: list[int], links: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int, int]]:
     """(first line, line after the last, text length) of each run of lines between a surge and a dive."""
     n = len(sizes)
     value = [max(0, s - 2 * k) for s, k in zip(sizes, links, strict=True)]
-    sums = [sum(value[i : i + window]) for i in range(n)]
+    total = [0]
+    for v in value:
+        total.append(total[-1] + v)
+    sums = [total[min(n, i + window)] - total[i] for i in range(n)]
     runs, i = [], 0
     while i < n:
         if sums[i] < surge or not value[i]:
             i += 1
             continue
+        first = i
+        while first and sizes[first - 1] and value[first - 1]:  # a short title above
+            first -= 1
         j = i
         while j < n and sums[j] > 0:
             j += 1
-        runs.append((i, j, sum(value[i:j])))
+        runs.append((first, j, total[j] - total[first]))
         i = j + 1
     return runs
 
 
+def _widest_article(lines: Lines, filled: list[int]) -> int:
+    """The article mark with most text that no chrome lies around (0: none); of equals the outermost."""
+    total: dict[int, int] = {}
+    for i in filled:
+        for k in lines.around(lines.mark[i]):
+            total[k] = total.get(k, 0) + lines.size[i]
+    total = {k: v for k, v in total.items() if lines.kinds[k] == "article" and not any(lines.kinds[o] == "chrome" for o in lines.around(k))}
+    return min(total, key=lambda k: (-total[k], k)) if total else 0
+
+
 def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> tuple[str, int, int]:
     """Text of the page's article, and its surge and dive lines (-1, -1 without text)."""
     if not page:
@@ -202,32 +244,27 @@ def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> tup
     filled = [i for i, t in enumerate(lines.text) if t]
     if not filled:
         return "", -1, -1
-    total: dict[int, int] = {}
-    for i in filled:  # text inside each marked article, inner ones counted for the outer too
-        k = lines.article[i]
-        while k:
-            total[k] = total.get(k, 0) + lines.size[i]
-            k = lines.parents[k]
-    best = 0
-    if total:
-        most = max(total.values())
-        best = min(k for k, v in total.items() if v == most)  # of equals the outermost
-    if best:
-        def inside(k: int) -> bool:
-            while k and k != best:
-                k = lines.parents[k]
-            return k == best
-
-        own = [i for i in filled if inside(lines.article[i])]
-        return " ".join(lines.text[i] for i in own), own[0], own[-1] + 1
+    running = lambda i: lines.size[i] > 2 * lines.link[i]
     runs = surge_and_dive(lines.size, lines.link, window, surge)
-    if not runs:  # nothing surges: a short page, all of which is kept but link lists
-        kept = [i for i in filled if lines.size[i] > 2 * lines.link[i]]
-        return " ".join(lines.text[i] for i in kept), (kept or [-1])[0], (kept or [-2])[-1] + 1
-    first, last, _ = max(runs, key=lambda r: r[2])
-    while first and lines.text[first - 1] and lines.size[first - 1] > 2 * lines.link[first - 1]:  # a short title above
-        first -= 1
-    return " ".join(lines.text[i] for i in range(first, last) if lines.text[i]), first, last
+    body = max(runs, key=lambda r: (r[2], -r[0]), default=None)
+    if body and body[2] >= DECISIVE:
+        heaviest = max(range(body[0], body[1]), key=lambda i: lines.size[i])
+        around = lines.around(lines.mark[heaviest])
+        article = next((k for k in reversed(around) if lines.kinds[k] == "article"), 0)
+    else:  # the sums say little: an article mark decides
+        article = _widest_article(lines, filled)
+        around = lines.around(article)
+    own = set(around)
+    # chrome that doesn't hold the body itself
+    chrome = lambda i: any(lines.kinds[k] == "chrome" and k not in own for k in lines.around(lines.mark[i]))
+    if article:
+        kept = [i for i in filled if article in lines.around(lines.mark[i]) and not chrome(i)]
+    elif body:
+        strong = [r for r in runs if r[2] >= SHARE * body[2] and not chrome(max(range(r[0], r[1]), key=lambda i: lines.size[i]))] or [body]
+        kept = [i for i in range(strong[0][0], strong[-1][1]) if lines.text[i] and running(i) and not chrome(i)]
+    else:  # nothing surges: a short page, all of which is kept but lists of links
+        kept = [i for i in filled if running(i) and not chrome(i)]
+    return " ".join(lines.text[i] for i in kept), (kept or [-1])[0], (kept or [-2])[-1] + 1
 
 
 def extract_main_text(pages: DataFrame, window: int = WINDOW, surge: int = SURGE) -> DataFrame:

@@ -61,6 +61,36 @@ def test_main_text_of_given_pages(spark):
         assert got[r["page_id"]]["text"] == " ".join(want.split()) and got[r["page_id"]]["n_chars"] == len(got[r["page_id"]]["text"])
 
 
+def test_main_text_without_marks_or_names(spark):
+    """With every mark, class name and telling element name gone, window sums alone find the article."""
+    import html
+    from collections import Counter
+
+    wanted = kept = got_all = menus = 0
+    for r in table(spark, SMALL, "pages").collect():
+        inner = re.search(r"<article>(.*)</article>", r["html"], re.S)[1]
+        plain = html.unescape(re.sub(r"<[^>]+>", " ", inner))
+        want = Counter(plain.split())
+        bare = re.sub(r"</?article>", "", r["html"]).replace(' class="ad"', "")
+        bare = re.sub(r"<(/?)(?:nav|footer)>", r"<\1div>", bare)
+        text = html_text.main_text(bare)[0]
+        got = Counter(text.split())
+        wanted, kept, got_all = wanted + sum(want.values()), kept + sum((want & got).values()), got_all + sum(got.values())
+        menu = " ".join(html.unescape(x) for x in re.findall(r"<a [^>]*>(.*?)</a>", r["html"]))
+        menus += bool(menu) and text.count(menu) > " ".join(plain.split()).count(menu)  # an article may hold the menu's words
+    assert kept >= 0.95 * wanted and kept >= 0.95 * got_all and not menus
+
+
+def test_names_decide_only_what_sums_leave_open():
+    body = "".join(f"<p>{'Running text of the body, well over a line. ' * 4}</p>" for _ in range(5))
+    for wrong in ("<article>A short teaser, marked.</article><div>%s</div>", '<div class="comments">%s</div><div>Short.</div>', "<aside>%s</aside>"):
+        got = html_text.main_text("<body>" + wrong % body + "</body>")[0]
+        assert got.startswith("Running text") and got.count("Running text") == 20
+    side = "<aside><p>" + "A long text at the side, which surges as well. " * 4 + "</p></aside>"
+    for page in (f"<article>{body}</article>{side}", f"<div>{body}</div>{side}"):
+        assert "side" not in html_text.main_text(page)[0]
+
+
 def test_surge_and_dive():
     assert html_text.surge_and_dive([5, 0, 0, 90, 3, 80, 0, 0, 0, 4], [0] * 10) == [(3, 6, 173)]
 
