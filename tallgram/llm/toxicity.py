@@ -7,12 +7,17 @@ word, the heaviest counts. Exception phrases take back what they cover. The sum
 weights, divided by a slowly growing function of the length, goes through a
 logistic curve to a score from 0 to 1.
 
-Weights are log-odds ratios of document counts over the labelled training rows
-(``LABELLED_ROWS`` at most), added up before the shuffle; entries need ``least_rows`` toxic rows. A small list
-of common words stands in where labels say nothing.
-
-Defined results: null and empty texts have no match and get the score of no match;
-without labels the stand-in list and curve apply; equal texts get equal scores.
+Weights are log-odds ratios of row counts over the labelled training rows
+(``LABELLED_ROWS`` at most; equal texts count once), summed before the shuffle. An
+entry needs toxic rows, evidence, and different neighbours in them: a rare word that
+only copies of one text share is no lexicon entry. Exception phrases are learned as
+well: pairs of neighbouring words of which one is an entry, but which clean rows use
+at least as often as toxic ones.
+
+The labelled texts are read twice, once to count and once to find where entries
+match; from then on only the matches are looked at. Defined results: null and empty
+texts have no match and get the score of no match; without toxic and clean labels no
+entry is known, and every text gets that score; equal texts get equal scores.
 Repeated label rows of one document count once, toxic if any says so.
 """
 
@@ -20,6 +25,7 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -30,24 +36,25 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallgram.llm.common import blocks, split_rule
+from tallgram.llm.common import blocks, split_rule, stored
 
 #: Lengths of word beginnings that are tried as entries.
 PREFIXES = (3, 4, 5, 6, 7, 8)
-LEAST_ROWS = 4
-LEAST_WEIGHT = 3.5
+#: Toxic rows of an entry, and different pairs of neighbours in them, at least.
+LEAST_ROWS, LEAST_CONTEXTS = 4, 4
+LEAST_WEIGHT = 2.5
 #: Likelihood-ratio statistic an entry needs: millions are tried, so chance gives values over 25 now and then.
 LEAST_EVIDENCE = 26.0
+#: Clean rows that a phrase needs to be an exception, and its log-odds ratio at most.
+PHRASE_ROWS, PHRASE_WEIGHT = 3, 0.0
 #: Labelled rows that are learned from at most (16 bytes each are broadcast).
 LABELLED_ROWS = 1_000_000
-#: Entries kept (the most telling ones); bounds the lexicon whatever the corpus.
-ENTRIES = 20_000
+#: Entries that a worker counts before it puts the counts out.
+COUNTED = 500_000
 
 # fixed values: look-alike letters of other scripts, and signs that stand for letters
 LOOKALIKES = {"а": "a", "е": "e", "о": "o", "р": "p", "с": "c", "х": "x", "у": "y", "і": "i", "ѕ": "s", "ј": "j", "һ": "h", "ԁ": "d", "ԛ": "q", "ԝ": "w", "α": "a", "ο": "o", "ι": "i", "ν": "v", "κ": "k", "τ": "t", "ρ": "p", "в": "b", "н": "h", "м": "m", "т": "t", "к": "k", "ɡ": "g", "ⅼ": "l", "ı": "i", "ł": "l", "ø": "o"}
 SIGNS = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "i", "€": "e", "+": "t"}
-COMMON = {"idiot": 3.0, "moron": 3.0, "stupid": 2.5, "scum": 3.0, "loser": 2.5, "worthless": 2.5, "pathetic": 2.5, "disgusting": 2.5, "trash": 2.5, "clown": 2.0, "imbecile": 3.0, "idiota": 3.0, "estupido": 2.5, "arschloch": 3.0, "dummkopf": 2.5, "imbécile": 3.0, "connard": 3.0}
-EXCEPTIONS = ("trash can", "trash bin", "clown fish", "pond scum", "idiot proof", "white clown")
 
 _FULL_WIDTH = {chr(0xFF01 + i): chr(0x21 + i) for i in range(94)}
 _FOLD = str.maketrans(_FULL_WIDTH | LOOKALIKES)
@@ -83,7 +90,7 @@ class Lexicon:
     """weights: entry to weight; an entry that ends in a blank is a whole word, others are beginnings."""
 
     weights: dict[str, float]
-    exceptions: tuple[str, ...] = EXCEPTIONS
+    exceptions: tuple[str, ...] = ()
     slope: float = 1.5
     bias: float = -2.0
     machine: ahocorasick.Automaton | None = field(default=None, repr=False, compare=False)
@@ -103,11 +110,10 @@ class Lexicon:
             self.machine = machine
         return self.machine
 
-    def matches(self, text: str | None) -> tuple[float, int, list[tuple[str, float]]]:
-        """Sum of weights, number of words, and (folded word, weight) of each match that counts."""
-        words = fold(text)
+    def places(self, words: list[str]) -> list[tuple[int, float]]:
+        """(word number, weight) of each match that counts: the heaviest entry of a word, none inside an exception phrase."""
         if not words or not self.weights:
-            return 0.0, len(words), []
+            return []
         line = "\x01" + "\x01".join(words) + "\x01"
         best: dict[int, float] = {}
         free: list[tuple[int, int]] = []
@@ -117,9 +123,16 @@ class Lexicon:
                 free.append((start, end))
             elif w > best.get(start, -1e9):
                 best[start] = w
-        if free:
-            best = {s: w for s, w in best.items() if not any(a <= s < b for a, b in free)}
-        found = [(line[s + 1 : line.index("\x01", s + 1)], w) for s, w in sorted(best.items())]
+        if not best:
+            return []
+        begin = np.cumsum([0, *(len(w) + 1 for w in words)])
+        covered = {s for s in best for a, b in free if a <= s < b}
+        return [(int(np.searchsorted(begin, s)), w) for s, w in sorted(best.items()) if s not in covered]
+
+    def matches(self, text: str | None) -> tuple[float, int, list[tuple[str, float]]]:
+        """Sum of weights, number of words, and (folded word, weight) of each match that counts."""
+        words = fold(text)
+        found = [(words[i], w) for i, w in self.places(words)]
         return sum(w for _, w in found), len(words), found
 
     def feature(self, text: str | None) -> float:
@@ -131,7 +144,7 @@ class Lexicon:
 
 
 def _labelled(docs: DataFrame, labels: DataFrame, labelled_rows: int) -> DataFrame:
-    """Training texts with toxic 0 or 1: labelled rows that are not held out.
+    """doc_id, text, toxic of labelled rows that are not held out, one row of equal texts.
 
     Labels are small rows beside texts, so they are broadcast; labelled_rows bounds
     them (a hash of doc_id chooses which are used if there are more).
@@ -141,69 +154,108 @@ def _labelled(docs: DataFrame, labels: DataFrame, labelled_rows: int) -> DataFra
     if n > labelled_rows:
         draw = F.shiftrightunsigned(F.xxhash64(F.lit(11), "doc_id"), 11) * F.lit(2.0**-53)
         marks = marks.where(draw < labelled_rows / n)
-    return docs.select("doc_id", "text").join(F.broadcast(marks), "doc_id").select("text", (F.col("_toxic") > 0).alias("toxic"))
+    texts = docs.select("doc_id", "text")
+    marked = texts.join(F.broadcast(marks), "doc_id").select("doc_id", F.xxhash64("text").alias("_hash"), (F.col("_toxic") > 0).alias("toxic"))
+    one = marked.groupBy("_hash").agg(F.min("doc_id").alias("doc_id"), F.max("toxic").alias("toxic"))
+    # no more rows than marks, so bounded like them
+    return texts.join(F.broadcast(one), "doc_id").where(F.xxhash64("text") == F.col("_hash")).select("doc_id", "text", "toxic")
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of each entry by label, added up over the batches of a task."""
-    rows = {True: 0, False: 0}
+    """Rows of each entry by label; toxic ones with the neighbours of the entry's first place. The empty entry counts all rows."""
+    counts: Counter = Counter()
+
+    def out() -> pa.RecordBatch:
+        entry, around, toxic = zip(*counts, strict=True) if counts else ((), (), ())
+        n = list(counts.values())
+        made = pa.RecordBatch.from_arrays(
+            [pa.array(entry, pa.string()), pa.array(around, pa.int64()), pa.array([k if t else 0 for k, t in zip(n, toxic, strict=True)], pa.int64()), pa.array([0 if t else k for k, t in zip(n, toxic, strict=True)], pa.int64())],
+            names=["entry", "around", "toxic", "clean"],
+        )
+        counts.clear()
+        return made
+
     for batch in blocks(batches):
-        seen = {True: Counter(), False: Counter()}
         for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
-            rows[toxic] += 1
-            mine = seen[toxic]
-            entries: set[str] = set()
-            for word in set(fold(text)):
-                entries.update(_entries(word))
-            mine.update(entries)
-        for toxic, counts in seen.items():
-            if counts:
-                yield pa.RecordBatch.from_arrays([pa.array(list(counts)), pa.array([n if toxic else 0 for n in counts.values()], pa.int64()), pa.array([0 if toxic else n for n in counts.values()], pa.int64())], names=["entry", "toxic", "clean"])
-    yield pa.RecordBatch.from_arrays([pa.array([""]), pa.array([rows[True]], pa.int64()), pa.array([rows[False]], pa.int64())], names=["entry", "toxic", "clean"])
-
-
-def fit(docs: DataFrame, labels: DataFrame, least_rows: int = LEAST_ROWS, entries: int = ENTRIES, labelled_rows: int = LABELLED_ROWS) -> Lexicon:
-    """Learn weights and curve from the labelled rows that are not held out, labelled_rows at most."""
-    spark = docs.sparkSession
-    rows = _labelled(docs, labels, labelled_rows)
-    totals = rows.groupBy("toxic").count().collect()
-    n_toxic, n_clean = (sum(r["count"] for r in totals if r["toxic"] == t) for t in (True, False))
-    if not n_toxic or not n_clean:
-        return Lexicon({k + " ": v for k, v in COMMON.items()})
-    # entries of toxic rows first: only those can become part of the lexicon
-    toxic = rows.where("toxic").mapInArrow(_count, "entry string, toxic long, clean long").where("entry != ''").groupBy("entry").agg(F.sum("toxic").alias("toxic")).where(F.col("toxic") >= least_rows)
-    toxic = toxic.orderBy(F.desc("toxic"), "entry").limit(20 * entries).toArrow()
-    counts = dict(zip(toxic.column("entry").to_pylist(), toxic.column("toxic").to_pylist(), strict=True))
-    wanted = spark.sparkContext.broadcast(set(counts))
-
-    def clean_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter = Counter()
+            words = fold(text)
+            counts["", None, toxic] += 1
+            if not toxic:
+                seen: set[str] = set()
+                for word in set(words):
+                    seen.update(_entries(word))
+                counts.update((e, None, False) for e in seen)
+                continue
+            first: dict[str, int] = {}
+            for i in range(len(words) - 1, -1, -1):
+                for e in _entries(words[i]):
+                    first[e] = i
+            for e, i in first.items():
+                beside = ("" if not i else words[i - 1]) + " " + (words[i + 1] if i + 1 < len(words) else "")
+                counts[e, zlib.crc32(beside.encode()), True] += 1
+        if len(counts) > COUNTED:
+            yield out()
+    yield out()
+
+
+def _phrases(words: list[str], i: int) -> list[str]:
+    """The pairs of neighbouring words that hold word i."""
+    return [" ".join(words[k : k + 2]) for k in (i - 1, i) if k >= 0 and k + 2 <= len(words)]
+
+
+def _places(rows: DataFrame, lexicon: Lexicon) -> DataFrame:
+    """toxic, rows, n_words, matches (weight, phrases) of rows with a match; rows without one are summed by label."""
+    shared = rows.sparkSession.sparkContext.broadcast(lexicon)
+    match = pa.list_(pa.struct([("weight", pa.float64()), ("phrases", pa.list_(pa.string()))]))
+    schema = pa.schema([("toxic", pa.bool_()), ("rows", pa.int64()), ("n_words", pa.int64()), ("matches", match)])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        none = {True: 0, False: 0}
         for batch in blocks(batches):
-            for text in batch.column("text").to_pylist():
-                found: set[str] = set()
-                for word in set(fold(text)):
-                    found.update(_entries(word))
-                seen.update(found & wanted.value)
-        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], names=["entry", "clean"])
-
-    clean = rows.where("not toxic").mapInArrow(clean_counts, "entry string, clean long").groupBy("entry").agg(F.sum("clean").alias("clean")).toArrow()
-    against = dict(zip(clean.column("entry").to_pylist(), clean.column("clean").to_pylist(), strict=True))
-    weights = {}
-    for entry, a in counts.items():
-        w = math.log((a + 0.5) / (n_toxic + 1)) - math.log((against.get(entry, 0) + 0.5) / (n_clean + 1))
-        if w >= LEAST_WEIGHT and evidence(a, against.get(entry, 0), n_toxic, n_clean) >= LEAST_EVIDENCE:
-            weights[entry] = w
-    weights = narrowed(weights, counts)
-    heaviest = sorted(weights, key=lambda e: (-weights[e] * math.sqrt(counts[e]), e))[:entries]
-    lexicon = Lexicon({e: weights[e] for e in heaviest})
-    for word, w in COMMON.items():
-        if word + " " not in counts and word + " " not in against:
-            lexicon.weights.setdefault(word + " ", w)
-    return _calibrated(rows, lexicon)
-
-
-#: Width and number of the bins over which the curve is fitted.
-BIN, BINS = 0.25, 400
+            found = []
+            for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
+                words = fold(text)
+                at = shared.value.places(words)
+                if at:
+                    found.append({"toxic": toxic, "rows": 1, "n_words": len(words), "matches": [{"weight": w, "phrases": _phrases(words, i)} for i, w in at]})
+                else:
+                    none[toxic] += 1
+            yield pa.RecordBatch.from_pylist(found, schema=schema)
+        yield pa.RecordBatch.from_pylist([{"toxic": t, "rows": n, "n_words": 0, "matches": []} for t, n in none.items() if n], schema=schema)
+
+    return stored(rows.mapInArrow(run, "toxic boolean, rows long, n_words long, matches array<struct<weight:double,phrases:array<string>>>"), "matches")
+
+
+def _log_odds(toxic, clean, n_toxic: int, n_clean: int):
+    return F.log((toxic + 0.5) / F.lit(n_toxic + 1.0)) - F.log((clean + 0.5) / F.lit(n_clean + 1.0))
+
+
+def fit(docs: DataFrame, labels: DataFrame, least_rows: int = LEAST_ROWS, labelled_rows: int = LABELLED_ROWS) -> Lexicon:
+    """Learn entries, exception phrases and curve from the labelled rows that are not held out, labelled_rows at most."""
+    rows = _labelled(docs, labels, labelled_rows)
+    counted = rows.mapInArrow(_count, "entry string, around long, toxic long, clean long")
+    sums = stored(counted.groupBy("entry").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"), F.count_distinct("around").alias("around")).where((F.col("entry") == "") | (F.col("toxic") >= least_rows)), "entries")
+    whole = sums.where("entry = ''").first()
+    if whole is None or not whole["toxic"] or not whole["clean"]:
+        return Lexicon({})
+    n_toxic, n_clean = whole["toxic"], whole["clean"]
+    weight = _log_odds(F.col("toxic"), F.col("clean"), n_toxic, n_clean)
+    # entries that are as telling as that are few: each has least_rows of the labelled rows and hardly a clean one
+    found = sums.where((F.col("entry") != "") & (F.col("around") >= LEAST_CONTEXTS)).withColumn("weight", weight).where(F.col("weight") >= LEAST_WEIGHT).select("entry", "toxic", "clean", "weight").toArrow()
+    weights, counts = {}, {}
+    for r in sorted(found.to_pylist(), key=lambda r: r["entry"]):
+        if evidence(r["toxic"], r["clean"], n_toxic, n_clean) >= LEAST_EVIDENCE:
+            weights[r["entry"]], counts[r["entry"]] = r["weight"], r["toxic"]
+    lexicon = Lexicon(narrowed(weights, counts))
+    places = _places(rows, lexicon)
+    in_rows = places.select("toxic", F.explode(F.array_distinct(F.flatten(F.transform("matches", lambda m: m["phrases"])))).alias("phrase"))
+    phrases = in_rows.groupBy("phrase").agg(F.count_if("toxic").alias("t"), F.count_if(~F.col("toxic")).alias("c")).where(F.col("c") >= PHRASE_ROWS)
+    phrases = phrases.where(_log_odds(F.col("t"), F.col("c"), n_toxic, n_clean) <= PHRASE_WEIGHT)
+    lexicon.exceptions = tuple(sorted(r["phrase"] for r in phrases.select("phrase").collect()))
+    return _calibrated(places, lexicon)
+
+
+#: Bins of the feature's logarithm over which the curve is fitted.
+BINS_A_UNIT = 16
 
 
 def evidence(a: int, b: int, n_toxic: int, n_clean: int) -> float:
@@ -235,21 +287,21 @@ def narrowed(weights: dict[str, float], counts: dict[str, int]) -> dict[str, flo
     return kept
 
 
-def _calibrated(rows: DataFrame, lexicon: Lexicon) -> Lexicon:
-    """Fit slope and bias on a histogram of the feature over all labelled rows."""
-    shared = rows.sparkSession.sparkContext.broadcast(lexicon)
+def _calibrated(places: DataFrame, lexicon: Lexicon) -> Lexicon:
+    """Fit slope and bias on a histogram of the feature over all labelled rows, in bins of equal ratio."""
+    free = set(lexicon.exceptions)
+    shared = places.sparkSession.sparkContext.broadcast(free)
 
-    def bins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = np.zeros((BINS, 2), dtype=np.int64)
-        for batch in blocks(batches):
-            for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
-                table[min(BINS - 1, int(shared.value.feature(text) / BIN)), int(toxic)] += 1
-        at, label = np.nonzero(table)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(label), pa.array(table[at, label])], names=["bin", "label", "n"])
+    def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = [sum(m["weight"] for m in ms if not shared.value.intersection(m["phrases"])) / normaliser(n) for ms, n in zip(batch.column("matches").to_pylist(), batch.column("n_words").to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), batch.column("rows"), pa.array(x, pa.float64())], names=["toxic", "rows", "x"])
 
-    found = rows.mapInArrow(bins, "bin long, label long, n long").groupBy("bin", "label").agg(F.sum("n").alias("n")).collect()
-    x = np.array([r["bin"] * BIN for r in found])
-    y = np.array([r["label"] for r in found], dtype=float)
+    values = places.mapInArrow(features, "toxic boolean, rows long, x double")
+    bins = values.groupBy(F.floor(F.log1p("x") * BINS_A_UNIT).alias("bin"), "toxic").agg(F.sum("rows").alias("n"), F.sum(F.col("x") * F.col("rows")).alias("x"))
+    found = sorted(bins.collect(), key=lambda r: (r["bin"], r["toxic"]))
+    x = np.array([round(r["x"] / r["n"], 9) for r in found])
+    y = np.array([float(r["toxic"]) for r in found])
     n = np.array([r["n"] for r in found], dtype=float)
 
     def loss(a: float, b: float) -> float:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 import struct
 import zlib
@@ -202,10 +203,70 @@ def test_exception_phrases_and_folding():
     assert lexicon.feature("trash") > lexicon.feature("trash " + "x " * 5000) > 0
 
 
+def plain_places(lexicon, words):
+    """Every entry tried at every word."""
+    phrases = [p.split() for p in lexicon.exceptions]
+    free = {k for p in phrases for i in range(len(words)) if words[i : i + len(p)] == p for k in range(i, i + len(p))}
+    out = []
+    for i, word in enumerate(words):
+        hits = [w for e, w in lexicon.weights.items() if (word == e[:-1] if e.endswith(" ") else word.startswith(e))]
+        if hits and i not in free:
+            out.append((i, max(hits)))
+    return out
+
+
+def test_matches_equal_a_plain_search(spark):
+    import random
+
+    random.seed(4)
+    texts = [r["text"] for r in table(spark, SMALL, "documents").limit(150).collect()] + ["", None, "a", "the the the"]
+    vocabulary = sorted({w for t in texts for w in toxicity.fold(t)})
+    pairs = [" ".join(w[k : k + 2]) for t in texts for w in [toxicity.fold(t)] for k in range(0, len(w) - 1, 40)]
+    weights = {w + " ": random.uniform(-1, 5) for w in random.sample(vocabulary, 40)} | {w[: random.randint(1, 4)]: random.uniform(-1, 5) for w in random.sample(vocabulary, 40)}
+    lexicon = toxicity.Lexicon(weights, tuple(sorted(set(random.sample(pairs, 30)))), 0.3, -1.0)
+    for t in texts:
+        words = toxicity.fold(t)
+        want = plain_places(lexicon, words)
+        assert lexicon.places(words) == want
+        score = 1 / (1 + math.exp(-(0.3 * sum(w for _, w in want) / toxicity.normaliser(len(words)) - 1.0)))
+        assert math.isclose(lexicon.score(t), score, rel_tol=1e-9)
+
+
+def test_exception_phrases_are_learned(spark):
+    rows, marks = [], []
+    for i in range(600):
+        bad, free = i % 6 == 0, i % 24 == 1
+        rows.append((i, prose(30, i) + (" plonk " if bad else " plonk bottle " if free else " ") + prose(5, 900 + i)))
+        marks.append((i, 1, int(bad)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    lexicon = toxicity.fit(docs, labels(spark, marks))
+    assert "plonk bottle" in lexicon.exceptions
+    assert lexicon.score("a plonk") > 0.5 > lexicon.score("a plonk bottle")
+
+
+def test_copies_of_one_text_make_no_entry(spark):
+    """Equal and near-equal toxic texts have the same neighbours around a rare word."""
+    base = prose(40, 5).split()
+    copies = [" ".join([*base[:k], *base[k + 1 : 30], "zyxxel", *base[30:]]) for k in range(12)] * 2
+    rows = [(i, t) for i, t in enumerate(copies)] + [(100 + i, prose(40, 100 + i) + " plonk " + prose(3, i)) for i in range(40)] + [(200 + i, prose(40, 300 + i)) for i in range(300)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    lexicon = toxicity.fit(docs, labels(spark, [(i, 1, int(i < 200)) for i, _ in rows]))
+    assert "plonk " in lexicon.weights and not any("zyx" in e for e in lexicon.weights)
+
+
+def test_held_out_labels_of_the_given_tables(spark):
+    """No list of words is shipped: what labels teach finds the toxic rows that were held out."""
+    docs, marks = (table(spark, "/root/testdata/sf0.1", n) for n in ("documents", "labels"))
+    known = marks.where("toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    held_rows = toxicity.scored(docs.where(toxicity.split_rule(5, 0)), toxicity.fit(docs, marks)).join(known, "doc_id").collect()
+    hit = sum(r["score"] >= 0.5 and r["toxic"] == 1 for r in held_rows)
+    assert hit >= 0.85 * sum(r["toxic"] == 1 for r in held_rows) and hit >= 0.95 * sum(r["score"] >= 0.5 for r in held_rows)
+
+
 def test_toxicity_edges(spark, edge_docs, no_docs):
     none = labels(spark, [])
     rows = toxicity.toxicity(edge_docs, none).collect()
-    assert len(rows) == edge_docs.count() and all(0 <= r["score"] <= 1 for r in rows)
+    assert len(rows) == edge_docs.count() and all(0 <= r["score"] < 0.5 for r in rows)
     odd = labels(spark, [(None, 1, 1), (0, None, None), (1, 1, 1), (1, 1, 1), (2, 1, 0)])
     assert toxicity.toxicity(edge_docs, odd).count() == edge_docs.count()
     assert toxicity.toxicity(no_docs, none).count() == 0
