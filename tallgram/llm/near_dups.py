@@ -12,19 +12,22 @@ work for a bag is proportional to its shingles once, not to registers times
 shingles.
 
 Registers form bands; documents that share a band are candidates. In a band's
-group every member is compared with the group's smallest member first, as many pairs
-as members. Groups whose members then still lie in several
-components are taken up again: members of its smallest component are compared with
-all others of other components, and so on until each group is one component or
-exhausted, so that no link between documents that share a band is lost. Every
-candidate pair is verified on exact multiset overlap.
+group every member is compared with the group's pivot first, as many pairs as
+members; the pivot is the member that meets most others over all its bands, which
+for copies with edits is the text they come from. Groups whose members then still
+lie in several components are taken up again: the members outside the largest
+component are compared with all others, in blocks of bounded size, so that no link
+between documents that share a band is lost. Every candidate pair is verified on
+exact multiset overlap.
 
 Classes are the connected components of verified links. Copies (equal texts) are
-joined to one node before all that, wherever a third of all rows is one text.
+joined to one node before all that, wherever a third of all rows is one text. Nodes
+of many links are dealt over several tasks in the rounds that find components.
 
 Defined results: null texts are alone in their class; texts without words form
 classes with their exact copies only; shorter texts than five words have one
-shingle of all their words; rows of one doc_id are one document.
+shingle of all their words; rows of one doc_id are one document with one row in the
+result, whose text is the one with the smallest digest.
 """
 
 from __future__ import annotations
@@ -33,7 +36,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tallgram.llm.common import Words, blocks, mix64, stored, trim
@@ -42,7 +45,9 @@ SHINGLE = 5
 THRESHOLD = 0.8
 BANDS, ROWS = 26, 5
 #: Shingles of one side in a task that compares the rest of a group.
-CHUNK = 250_000
+CHUNK = 120_000
+#: Links of a node from which on its links are dealt over several tasks.
+HOT_NODE = 2_000
 #: Rows up to which a side of ids is broadcast (16 bytes a row); beyond it both sides are shuffled.
 BROADCAST_ROWS = 1_000_000
 
@@ -162,17 +167,21 @@ def _signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _shingle_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """node, band keys and shingles; the k-th copy of a shingle has a value of its own, so sets of values are bags."""
+    """node and shingles; the k-th copy of a shingle has a value of its own, so sets of values are bags."""
+    import xxhash
+
     for batch in blocks(batches, max_bytes=2 << 20, owner="words"):
+        pairs = zip(batch.column("text").to_pylist(), batch.column("digest").to_pylist(), strict=True)
+        batch = batch.filter(pa.array([xxhash.xxh3_128_digest(t.encode()) == d for t, d in pairs], pa.bool_()))  # another text of the id
+        if not batch.num_rows:
+            continue
         row, value, many = bags(*shingle_hashes(Words(batch.column("text"))))
-        keys = band_keys(bag_signatures(row, value, many, batch.num_rows, BANDS * ROWS)).view(np.int64)
         source = np.repeat(np.arange(len(row)), many)
         copy = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
         values = np.where(copy == 0, value[source], mix64(value[source] + copy.astype(np.uint64) * _GOLD))
         counts = np.bincount(row[source], minlength=batch.num_rows)
         lists = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32), pa.array(values.view(np.int64)))
-        bands = pa.ListArray.from_arrays((np.arange(batch.num_rows + 1) * BANDS).astype(np.int32), pa.array(keys.ravel()))
-        yield pa.RecordBatch.from_arrays([batch.column("node"), bands, lists], names=["node", "bands", "shingles"])
+        yield pa.RecordBatch.from_arrays([batch.column("node"), lists], names=["node", "shingles"])
 
 
 def _bounded(small: DataFrame, n: int) -> DataFrame:
@@ -246,23 +255,32 @@ class NearDuplicates:
         self.docs = docs.select("doc_id", "text")
 
     def _nodes(self) -> None:
-        signed = stored(self.docs.where("doc_id is not null and text is not null").mapInArrow(_signed, "doc_id long, digest binary, size long, bands array<bigint>"), "signed")
-        # one node for each distinct text, named by its smallest doc_id; partial minima before the shuffle
-        # (stored, so that the join below has exchanges of its own, which Spark may split where a text is hot)
-        nodes = stored(signed.groupBy("digest").agg(F.min("doc_id").alias("node")), "nodes")
-        self.members = stored(signed.select("doc_id", "digest").join(nodes, "digest").select("doc_id", "node"), "members")
-        heads = self.members.where("doc_id = node").select("node").distinct()
-        unique = signed.select(F.col("doc_id").alias("node"), "size", "bands").join(heads, "node").where("size > 0")
-        keyed = unique.select("node", "size", F.posexplode("bands").alias("band", "key"))
-        groups = keyed.groupBy("key").agg(F.count("*").alias("n"), F.min(F.struct("node", "size")).alias("least")).where("n > 1").select("key", "n", F.col("least.node").alias("first"), F.col("least.size").alias("first_size"))
-        groups = stored(groups, "keys")
+        signed = stored(self.docs.where("doc_id is not null").mapInArrow(_signed, "doc_id long, digest binary, size long, bands array<bigint>"), "signed")
+        # one text for each doc_id, one node for each distinct text, named by its smallest doc_id; partial minima
+        # before the shuffle (stored, so that the joins have exchanges of their own, which Spark may split where a text is hot)
+        self.texts = stored(signed.groupBy("doc_id").agg(F.min("digest").alias("digest")), "texts")
+        nodes = stored(self.texts.where("digest is not null").groupBy("digest").agg(F.min("doc_id").alias("node")), "nodes")
+        self.members = stored(self.texts.join(nodes, "digest").select("doc_id", "node"), "members")
+        named = nodes.select("node", F.col("digest").alias("of"))
+        self.heads = stored(signed.where("size > 0").join(named, F.col("doc_id") == F.col("node")).where("digest = of").select("node", "digest", "size", "bands"), "heads")
+        keyed = self.heads.select("node", "size", F.posexplode("bands").alias("band", "key"))
+        groups = stored(keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "keys")
         self.grouped = stored(keyed.join(groups, "key"), "groups")  # members of groups of two and more
 
+    def _stars(self) -> DataFrame:
+        """Candidate pairs (a < b) of each group's pivot with its members."""
+        met = self.grouped.groupBy("node").agg(F.sum("n").alias("met"))
+        wide = stored(self.grouped.select("key", "node", "size").join(met, "node"), "met")
+        top = F.max(F.struct("met", (-F.col("node")).alias("back"), "size")).alias("top")
+        pivot = stored(wide.groupBy("key").agg(top).select("key", (-F.col("top.back")).alias("first"), F.col("top.size").alias("first_size")), "pivots")
+        pairs = wide.join(pivot, "key").where("node <> first").where(self._fits("size", "first_size"))
+        return pairs.select(F.least("first", "node").alias("a"), F.greatest("first", "node").alias("b")).distinct()
+
     def _bags(self) -> None:
-        wanted = stored(self.grouped.select("node").distinct(), "wanted")
+        wanted = stored(self.heads.select("node", "digest").join(self.grouped.select("node").distinct(), "node", "left_semi"), "wanted")
         n = wanted.count()
-        texts = self.docs.where("doc_id is not null and text is not null").withColumnRenamed("doc_id", "node").join(_bounded(wanted, n), "node").select("node", "text")
-        self.bags = stored(texts.mapInArrow(_shingle_lists, "node long, bands array<bigint>, shingles array<bigint>"), "bags")
+        texts = self.docs.where("doc_id is not null and text is not null").withColumnRenamed("doc_id", "node").join(_bounded(wanted, n), "node").select("node", "digest", "text")
+        self.bags = stored(texts.mapInArrow(_shingle_lists, "node long, shingles array<bigint>"), "bags")
 
     def _verified(self, pairs: DataFrame, name: str) -> DataFrame:
         """Links (a, b, similarity) among candidate pairs (a < b, distinct)."""
@@ -276,6 +294,18 @@ class NearDuplicates:
         """Bags whose sizes differ too much can't reach the threshold."""
         return F.least(a, b) >= F.greatest(a, b) * self.threshold
 
+    def _with_least(self, both: DataFrame) -> DataFrame:
+        """(u, v, m) for edges in both directions, m the smallest neighbour of u.
+
+        Nodes of HOT_NODE edges and more are dealt over several tasks; there are at
+        most edges / HOT_NODE of them, which is what is broadcast.
+        """
+        least = stored(both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")), "least")
+        hot = least.where(F.col("n") >= HOT_NODE).select("u", F.ceil(F.col("n") / F.lit(HOT_NODE)).cast("int").alias("parts"))
+        dealt = both.join(_bounded(hot, hot.count()), "u", "left").withColumn("part", F.pmod(F.xxhash64("v"), F.coalesce("parts", F.lit(1))).cast("int")).drop("parts")
+        parts = F.ceil(F.col("n") / F.lit(HOT_NODE)).cast("int")
+        return dealt.join(least.select("u", "m", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part")), ["u", "part"]).select("u", "v", "m")
+
     def components(self, links: DataFrame) -> DataFrame:
         """(node, component) of linked nodes: the smallest node of each component.
 
@@ -287,10 +317,9 @@ class NearDuplicates:
         before = None
         while True:
             both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-            least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-            large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-            least = large.groupBy("u").agg(F.min("v").alias("m"))
-            small = large.join(least, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+            large = self._with_least(both).where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v")).where("u <> v").distinct()
+            large = stored(large, "large")
+            small = self._with_least(large).select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
             edges = stored(small, "edges")
             now = edges.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("s")).first()
             if before == now:
@@ -316,23 +345,24 @@ class NearDuplicates:
         members = rows.select(*columns, F.lit(False).alias("query"), deal(1, F.col("m_chunks")).alias("m"), upto(F.col("q_chunks")).alias("q"))
         queries = rows.where("component <> largest").select(*columns, F.lit(True).alias("query"), upto(F.col("m_chunks")).alias("m"), deal(2, F.col("q_chunks")).alias("q"))
         threshold = self.threshold
-        with_bags = members.unionByName(queries).join(self.bags, "node").select(*columns, "query", "m", "q", "bands", "shingles")
+        bands = self.heads.select("node", "bands")
+        with_bags = members.unionByName(queries).join(self.bags, "node").join(bands, "node").select(*columns, "query", "m", "q", "bands", "shingles")
         return stored(with_bags.groupBy("key", "m", "q").applyInArrow(lambda t: _rest_of_group(t, threshold), "a long, b long, similarity double"), "rest")
 
     def links(self) -> DataFrame:
         """Verified links (a, b, similarity) that connect all near-duplicate nodes."""
         self._nodes()
         self._bags()
-        stars = self.grouped.where("node <> first").where(self._fits("size", "first_size")).select(F.col("first").alias("a"), F.col("node").alias("b")).distinct()
-        links = self._verified(stars, "links")
+        links = self._verified(self._stars(), "links")
         return links.unionByName(self._rest(links))
 
     def classes(self) -> DataFrame:
-        """doc_id, class_id (smallest doc_id of the class), is_kept of every row with an id."""
+        """doc_id, class_id (smallest doc_id of the class), is_kept: one row for each doc_id, and each row without one."""
         found = self.components(self.links())
         of = self.members.join(found, "node", "left").select("doc_id", F.coalesce("component", "node").alias("class_id"))
-        alone = self.docs.where("text is null or doc_id is null").select("doc_id", F.col("doc_id").alias("class_id"))
-        return of.unionByName(alone).select("doc_id", "class_id", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)).alias("is_kept"))
+        alone = self.texts.where("digest is null").select("doc_id", F.col("doc_id").alias("class_id"))
+        unnamed = self.docs.where("doc_id is null").select("doc_id", F.col("doc_id").alias("class_id"))
+        return of.unionByName(alone).unionByName(unnamed).select("doc_id", "class_id", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)).alias("is_kept"))
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -346,11 +376,13 @@ def keep_one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD) -> Dat
     doc_id or text all stay.
     """
     classes = stored(near_duplicates(docs.where("doc_id is not null"), threshold), "classes")
-    gone = classes.where("not is_kept").select("doc_id").distinct()
+    gone = classes.where("not is_kept").select("doc_id")
     kept = docs.join(_bounded(gone, gone.count()), "doc_id", "left_anti").select(*docs.columns)
     repeated = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
     n = repeated.count()
     if not n:
         return kept
     several = _bounded(repeated, n)
-    return kept.join(several, "doc_id", "left_anti").select(*docs.columns).unionByName(kept.join(several, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"]))
+    first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
+    one = kept.join(several, "doc_id", "left_semi").select(*docs.columns).withColumn("_place", F.row_number().over(first)).where("_place = 1").drop("_place")
+    return kept.join(several, "doc_id", "left_anti").select(*docs.columns).unionByName(one)
