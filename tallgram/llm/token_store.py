@@ -4,9 +4,9 @@ A store is a Parquet folder in which one row is one *segment*: a raw payload of
 little-endian ids (2 or 4 bytes each), the document keys in payload order, and an
 index. The index is a minimal perfect hash: keys fall into small buckets, each
 bucket has a pilot number under which all its keys land on free slots, and slot s
-holds (fingerprint, first id, number of ids). A lookup is two hashes and one
+holds (fingerprint, row, first id, number of ids). A lookup is two hashes and one
 comparison, whatever the size; a key that was never stored fails the fingerprint
-but for one chance in 2^32.
+but for one chance in 2^32, and keyed access compares the stored key as well.
 
 Segments are in ascending document order: (part, seg) orders them, and parts are
 the range partitions of doc_id. Null texts are empty (only the end id); null ids
@@ -33,7 +33,9 @@ KEYS_PER_BUCKET = 4
 SEGMENT_BYTES = 12 << 20
 ENCODER_MEMORY = 1_000_000
 _NULL_KEY = np.uint64(0x5851F42D4C957F2D)
-_SLOT = np.dtype([("fingerprint", "<u4"), ("first", "<u8"), ("count", "<u4")])
+_SLOT = np.dtype([("fingerprint", "<u4"), ("row", "<u4"), ("first", "<u8"), ("count", "<u4")])
+#: Wanted ids up to which keyed access broadcasts them (8 bytes each); beyond it segments and ids meet by a shuffle.
+BROADCAST_IDS = 1_000_000
 
 STORE_SCHEMA = "part int, seg int, before long, n_tokens long, width int, doc_ids array<bigint>, payload binary, index binary"
 
@@ -96,22 +98,22 @@ def build_index(keys: np.ndarray, first: np.ndarray, count: np.ndarray) -> bytes
         if done:
             slots = np.zeros(n, dtype=_SLOT)
             slots["fingerprint"][place] = (mix64(keys + np.uint64(77)) >> np.uint64(32)).astype(np.uint32)
-            slots["first"][place], slots["count"][place] = first, count
+            slots["row"][place], slots["first"][place], slots["count"][place] = np.arange(n), first, count
             return np.array([n, n_buckets, salt], dtype="<u4").tobytes() + pilots.tobytes() + slots.tobytes()
     raise ValueError("no perfect hash found")
 
 
-def lookup(index: bytes, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(known, first, count) of each key: constant time a key."""
+def lookup(index: bytes, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(known, row, first, count) of each key: constant time a key."""
     n, n_buckets, salt = (int(x) for x in np.frombuffer(index, dtype="<u4", count=3))
     if not n:
         none = np.zeros(len(keys), dtype=np.int64)
-        return none.astype(bool), none, none
+        return none.astype(bool), none, none, none
     pilots = np.frombuffer(index, dtype="<u4", count=n_buckets, offset=12)
     slots = np.frombuffer(index, dtype=_SLOT, count=n, offset=12 + 4 * n_buckets)
     hit = slots[_slots(keys, pilots[_buckets(keys, salt, n_buckets).astype(np.int64)], salt, n).astype(np.int64)]
     known = hit["fingerprint"] == (mix64(keys + np.uint64(77)) >> np.uint64(32)).astype(np.uint32)
-    return known, hit["first"].astype(np.int64), hit["count"].astype(np.int64)
+    return known, hit["row"].astype(np.int64), hit["first"].astype(np.int64), hit["count"].astype(np.int64)
 
 
 def _occurrences(ids: list[int | None]) -> np.ndarray:
@@ -169,8 +171,8 @@ def document_digests(store: DataFrame) -> DataFrame:
         for batch in batches:
             for row in batch.to_pylist():
                 keys = row["doc_ids"]
-                known, first, count = lookup(row["index"], key_hashes(keys, _occurrences(keys)))
-                if not known.all():
+                known, at, first, count = lookup(row["index"], key_hashes(keys, _occurrences(keys)))
+                if not known.all() or (at != np.arange(len(keys))).any():
                     raise ValueError(f"segment {row['part']}/{row['seg']}: a stored key isn't in the index")
                 ids = np.frombuffer(row["payload"], dtype=f"<u{row['width']}").astype("<u4")
                 base = starts[row["part"]] + row["before"]
@@ -180,26 +182,64 @@ def document_digests(store: DataFrame) -> DataFrame:
     return store.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
+def _holder(low: np.ndarray, high: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """For each id the first of the ascending spans [low, high] that can hold it, or -1."""
+    at = np.searchsorted(high, ids, side="left")
+    inside = at < len(high)
+    inside[inside] = low[at[inside]] <= ids[inside]
+    return np.where(inside, at, -1)
+
+
+def _asked(spans: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(part, seg, asked): the wanted ids of each segment that can hold them, every id in one segment.
+
+    Parts and segments are in ascending order of ids, so two binary searches find the
+    segment: in the bounds of the parts (one row a range partition, in the driver),
+    then in those of the part's segments, where ids and segments of the part meet.
+    """
+    parts = spans.groupBy("part").agg(F.min("low").alias("low"), F.max("high").alias("high")).orderBy("part").toArrow()
+    part, low, high = (parts.column(c).to_numpy() for c in ("part", "low", "high"))
+
+    def to_part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column("doc_id").to_numpy()
+            at = _holder(low, high, ids)
+            yield pa.RecordBatch.from_arrays([pa.array(part[at[at >= 0]].astype(np.int32)), pa.array(ids[at >= 0])], names=["of_part", "doc_id"])
+
+    def to_segment(asked: pa.Table, there: pa.Table) -> pa.Table:
+        there = there.sort_by("seg")
+        ids = asked.column("doc_id").to_numpy()
+        at = _holder(there.column("low").to_numpy(), there.column("high").to_numpy(), ids)
+        part = there.column("part")[0].as_py() if len(there) else 0
+        return pa.table({"part": pa.array(np.full(int((at >= 0).sum()), part), pa.int32()), "seg": pa.array(there.column("seg").to_numpy()[at[at >= 0]], pa.int32()), "doc_id": pa.array(ids[at >= 0], pa.int64())})
+
+    placed = wanted.mapInArrow(to_part, "of_part int, doc_id long")
+    return placed.groupBy("of_part").cogroup(spans.groupBy("part")).applyInArrow(to_segment, "part int, seg int, doc_id long").groupBy("part", "seg").agg(F.collect_list("doc_id").alias("asked"))
+
+
 def fetch(store: DataFrame, wanted: DataFrame) -> DataFrame:
-    """doc_id and ids of the wanted documents (column doc_id), through the index.
+    """doc_id and ids of the wanted documents (column doc_id), through the index: one row for each stored id.
 
-    Which segments can hold a wanted id is told by the smallest and largest id of
-    each segment, so payloads of other segments aren't decoded. A repeated id gives
-    its first entry; ids that aren't stored give no row.
+    Payloads of segments that can't hold a wanted id aren't decoded. A repeated id
+    gives its first entry; ids that aren't stored give no row.
     """
-    spans = store.select("part", "seg", F.array_min("doc_ids").alias("low"), F.array_max("doc_ids").alias("high"))
-    asked = wanted.select("doc_id").where("doc_id is not null").distinct().join(spans, F.col("doc_id").between(F.col("low"), F.col("high"))).groupBy("part", "seg").agg(F.collect_list("doc_id").alias("asked"))
+    ids = wanted.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct()
+    spans = store.select("part", "seg", F.array_min("doc_ids").alias("low"), F.array_max("doc_ids").alias("high")).where("low is not null")
+    asked = _asked(spans, ids)
+    if ids.count() <= BROADCAST_IDS:
+        asked = F.broadcast(asked)
+    schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int64()))])
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                keys = row["asked"]
-                known, first, count = lookup(row["index"], key_hashes(keys, np.zeros(len(keys), dtype=np.int64)))
-                ids = np.frombuffer(row["payload"], dtype=f"<u{row['width']}").astype(np.int64)
-                found = [(k, ids[a : a + n].tolist()) for k, ok, a, n in zip(keys, known, first, count, strict=True) if ok]
-                yield pa.RecordBatch.from_pylist([{"doc_id": k, "ids": v} for k, v in found], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int64()))]))
+                keys, own = row["asked"], row["doc_ids"]
+                known, at, first, count = lookup(row["index"], key_hashes(keys, np.zeros(len(keys), dtype=np.int64)))
+                tokens = np.frombuffer(row["payload"], dtype=f"<u{row['width']}").astype(np.int64)
+                found = [(k, tokens[a : a + n].tolist()) for k, ok, r, a, n in zip(keys, known, at, first, count, strict=True) if ok and own[r] == k]
+                yield pa.RecordBatch.from_pylist([{"doc_id": k, "ids": v} for k, v in found], schema=schema)
 
-    return store.join(asked, ["part", "seg"]).select("asked", "width", "payload", "index").mapInArrow(read, "doc_id long, ids array<bigint>")
+    return store.join(asked, ["part", "seg"]).select("asked", "doc_ids", "width", "payload", "index").mapInArrow(read, "doc_id long, ids array<bigint>")
 
 
 def token_digests(docs: DataFrame, vocabulary: str | None = None) -> DataFrame:

@@ -64,12 +64,31 @@ def test_token_store(spark, edge_docs, edge_rows, no_docs, tokenizer, tmp_path):
     assert set(found) == {3, 108} and all(found[i] == ids_of(tokenizer, next(r[1] for r in edge_rows if r[0] == i)).tolist() for i in found)
 
 
+def test_keyed_access_over_many_segments(spark, tokenizer, tmp_path, monkeypatch):
+    """Ids that fill several segments, gaps between segments, and ids of every segment: one right row each."""
+    monkeypatch.setattr(token_store, "SEGMENT_BYTES", 300)
+    rows = [(i, prose(10, i)) for i in range(0, 300, 3)] + [(150, prose(40, 1000 + k)) for k in range(12)] + [(None, "none")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    store = token_store.read_token_store(spark, token_store.write_token_store(docs, str(tmp_path / "store")))
+    assert store.count() > 10 and store.where("array_contains(doc_ids, 150)").count() > 1
+    asked = spark.createDataFrame([(i,) for i in range(-5, 400)], "doc_id long")
+    monkeypatch.setattr(token_store, "BROADCAST_IDS", 100)  # by shuffle
+    plan = token_store.fetch(store, asked)
+    assert "NestedLoop" not in plan._jdf.queryExecution().executedPlan().toString()
+    out = plan.collect()
+    texts = defaultdict(list)
+    for i, t in rows:
+        texts[i].append(ids_of(tokenizer, t).tolist())
+    assert sorted(r["doc_id"] for r in out) == list(range(0, 300, 3))
+    assert all(r["ids"] in texts[r["doc_id"]] for r in out)
+
+
 @pytest.mark.parametrize("n", [0, 1, 2, 5, 100, 3000])
 def test_perfect_hash(n):
     keys = token_store.key_hashes(list(range(n)))
     index = token_store.build_index(keys, np.arange(n) * 3, np.arange(n) % 7)
-    known, first, count = token_store.lookup(index, keys)
-    assert known.all() and (first == np.arange(n) * 3).all() and (count == np.arange(n) % 7).all()
+    known, row, first, count = token_store.lookup(index, keys)
+    assert known.all() and (row == np.arange(n)).all() and (first == np.arange(n) * 3).all() and (count == np.arange(n) % 7).all()
     if n:
         stranger = token_store.lookup(index, token_store.key_hashes(list(range(10**6, 10**6 + 1000))))[0]
         assert stranger.sum() <= 1
