@@ -7,7 +7,7 @@ import math
 import re
 import struct
 import zlib
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import pytest
 from corpus_rows import prose
@@ -65,7 +65,6 @@ def test_main_text_of_given_pages(spark):
 def test_main_text_without_marks_or_names(spark):
     """With every mark, class name and telling element name gone, window sums alone find the article."""
     import html
-    from collections import Counter
 
     wanted = kept = got_all = menus = 0
     for r in table(spark, SMALL, "pages").collect():
@@ -158,7 +157,7 @@ def test_sniffing_validates_and_carves():
 
     image, packed = png(), gzip.compress(b"hello", mtime=0)
     value = b"text " + image + b" BM GIF89a RIFF %PDF- " + packed + b" end"
-    assert media.carve(value) == [("image/png", image), ("application/gzip", packed)]
+    assert media.carve(value) == [(5, "image/png", image), (len(value) - 4 - len(packed), "application/gzip", packed)]
     assert media.true_type(image, media.sniff(image)) == "image/png"
     assert media.true_type(value, media.sniff(value)) == "application/octet-stream"
     assert media.sniff(image[:-1]) == [] and media.sniff(image[:20] + b"\x01" + image[21:]) == []
@@ -168,6 +167,68 @@ def test_sniffing_validates_and_carves():
     assert media.sniff(gif) == [(0, len(gif), "image/gif")]
 
 
+def plain_feature(samples, kind, embedded):
+    counts = Counter(samples)
+    entropy = -sum(n / len(samples) * math.log2(n / len(samples)) for n in counts.values())
+    inside = ",".join(f"{t}@{a}+{len(x)}#{zlib.crc32(x):08x}" for a, t, x in embedded)
+    return f"type={kind};entropy={abs(entropy):.6f};mean={sum(samples) / len(samples):.6f};zeros={counts[0] / len(samples):.6f};embedded={inside}"
+
+
+def test_media_feature_equals_a_plain_one(edge_docs, edge_rows):
+    want = Counter()
+    for r in edge_rows:
+        raw = (r[1] or "").encode()
+        want[r[0], plain_feature(raw + b"\0" * (max(64, -(-len(raw) // 64) * 64) - len(raw)), "audio/wav", [])] += 1
+    assert Counter((r["doc_id"], r["feature"].replace("=-0.0", "=0.0")) for r in media.media_digests(edge_docs).collect()) == want
+
+
+def test_features_name_embedded_media():
+    image = png()
+    wave = media.wave_of(b"some" + image + b"more")
+    found = media.sniff(wave)
+    assert media.feature_of(media.wave_samples(wave), media.true_type(wave, found), media.carve(wave, found)) == plain_feature(b"some" + image + b"more", "audio/wav", [(48, "image/png", image)])
+
+
+def flac(frames=3, samples=None) -> bytes:
+    """Silence, 16 samples a frame: constant subframes."""
+    out = b""
+    for k in range(frames):
+        head = b"\xff\xf8" + bytes([6 << 4 | 9, 0 << 4 | 4 << 1, k, 15])
+        check = 0
+        for x in head:
+            check = media._CRC8[check ^ x]
+        body = head + bytes([check]) + b"\0\0\0"
+        check = 0
+        for x in body:
+            check = (check << 8 & 0xFFFF) ^ media._CRC16[(check >> 8) ^ x]
+        out += body + struct.pack(">H", check)
+    n = 16 * frames if samples is None else samples
+    info = struct.pack(">HH", 16, 16) + b"\0" * 6 + ((44100 << 44) | (15 << 36) | n).to_bytes(8, "big") + b"\0" * 16
+    return b"fLaC\x80\0\0\x22" + info + out
+
+
+def test_flac_frames_are_checked():
+    whole = flac()
+    assert media.sniff(whole + b"rest of the text") == [(0, len(whole), "audio/flac")]
+    assert media.sniff(whole[:-1] + b"?") == [] and media.sniff(whole[:50] + b"\x01" + whole[51:]) == []
+    assert media.sniff(whole[:42] + b"\xffanything at all") == []
+    assert media.sniff(flac(3, 64)) == []  # fewer samples than the head tells
+    assert media.sniff(flac(3, 0)) == [(0, len(whole), "audio/flac")]  # unknown number of samples
+
+
+@pytest.mark.parametrize("piece", [b"\xff\xd8\xff\xe0\0\x04ab\xff\xda\0\x02", b"PK\x03\x04" + b"\0" * 26, b"%PDF-1 ", png()[:33], b"GIF89a" + b"\0" * 7 + b"\x21\xf9\x01a", b"OggS\0" + b"\0" * 22, b"RIFF\xff\xff\0\0WAVE", flac()[:42], b"\x1f\x8b\x08\0" + b"\0" * 14])
+def test_validators_take_linear_time(piece):
+    import time
+
+    def seconds(n):
+        began = time.perf_counter()
+        media.sniff(piece * (n // len(piece)))
+        return time.perf_counter() - began
+
+    seconds(1 << 14)
+    assert min(seconds(1 << 20) for _ in range(2)) < 3.5 * min(seconds(1 << 19) for _ in range(2)) + 0.05
+
+
 # --- operator 10 ---
 
 
