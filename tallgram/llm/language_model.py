@@ -8,15 +8,18 @@ of their own, all others share hashed classes by their last letters. The model i
 P(class | history) is a softmax over the sum of weights of a bias, the class before
 (bigram), the class two before (skip) and the hashed pair of both (trigram). It is
 trained by rounds of distributed gradient steps: the corpus is summed up to counts
-of (two classes before, class) once, partitions of contexts compute observed minus
-expected counts of their features, the driver adds them up (model size, whatever
-the corpus) and takes a preconditioned step. P(word | class) has add-one counts over
-all training words, with one unknown word a hashed class, so every text has a
-probability and they add up to one.
+of (two classes before, class) once, partitions of contexts compute expected counts
+of their features, the driver adds them up (model size, whatever the corpus) and
+takes a preconditioned step. P(word | class) has add-one counts over all training
+words, with one unknown word a hashed class, so every text has a probability and
+they add up to one. Normalisers are made for the contexts that a block has, never
+for all.
 
 Word counts never meet in one place. Texts are turned once into blocks: a word
-list, training counts, and token numbers. Word lists are joined with the corpus
-counts and come back to their block as numbers, where numpy scores all its texts.
+list, training counts, and token numbers. The ``TOP`` most frequent words, which
+every block has, are broadcast with their counts; word lists of all others are
+joined with the corpus counts and come back to their block as numbers, where numpy
+scores all its texts. Blocks are dealt over as many tasks as their number asks for.
 
 Defined results: null and empty texts have the end token alone; without training
 rows N, V and all counts are 0 and score equals base_score; repeated rows are
@@ -40,12 +43,16 @@ from pyspark.sql import functions as F
 from tallgram.llm.common import LOWER_BYTES, blocks, split_rule, stored, text_bytes
 
 #: Frequent words with a class of their own, and hashed classes for the rest.
-SINGLES, SHARED = 40, 40
+SINGLES, SHARED = 255, 256
 TRIGRAM_BUCKETS = 2048
 EPOCHS, RATE, PENALTY = 8, 0.6, 0.5
 BLOCK_TEXT = 16 << 20
 #: Partitions of contexts in training; contexts are bounded by the number of classes.
 CONTEXT_PARTS = 8
+#: Contexts whose softmax is made at once.
+CONTEXTS = 2048
+#: Frequent words whose counts are broadcast, and blocks a task scores.
+TOP, BLOCKS_A_TASK = 65_536, 2
 
 _BLOCKS = "block long, doc_ids array<bigint>, held array<boolean>, lengths array<int>, tokens binary, words array<string>, counts array<int>, train_docs long"
 _SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
@@ -107,10 +114,11 @@ class Classes:
     """Class of each word: 0 is the end, then single words, then shared classes."""
 
     singles: dict[str, int]
+    shared: int = SHARED
 
     @property
     def n(self) -> int:
-        return 1 + len(self.singles) + SHARED
+        return 1 + len(self.singles) + self.shared
 
     def of(self, words: list[str]) -> np.ndarray:
         first, singles = 1 + len(self.singles), self.singles
@@ -122,7 +130,7 @@ class Classes:
                 tail = w[-2:]
                 k = memory.get(tail)
                 if k is None:
-                    k = memory[tail] = first + zlib.crc32(tail.encode()) % SHARED
+                    k = memory[tail] = first + zlib.crc32(tail.encode()) % self.shared
             out[i] = k
         return out
 
@@ -157,11 +165,34 @@ class Weights:
     earlier: np.ndarray
     pair: np.ndarray
 
+    @property
+    def n(self) -> int:
+        return self.bias.shape[1]
+
+    def features(self, context: np.ndarray) -> list[np.ndarray]:
+        """The row of each weight table that a context uses."""
+        return [np.zeros(len(context), dtype=np.int64), context % (self.n + 1), context // (self.n + 1), _trigram(context)]
+
+    def tables(self) -> list[np.ndarray]:
+        return [self.bias, self.before, self.earlier, self.pair]
+
     def log_probabilities(self, context: np.ndarray) -> np.ndarray:
-        n = self.bias.shape[1]
-        x = self.bias + self.before[context % (n + 1)] + self.earlier[context // (n + 1)] + self.pair[_trigram(context)]
-        x = x - x.max(axis=1, keepdims=True)
-        return x - np.log(np.exp(x).sum(axis=1, keepdims=True))
+        """ln P(class | context), contexts x classes."""
+        x = self.bias + sum(t[f] for t, f in zip(self.tables()[1:], self.features(context)[1:], strict=True))
+        x -= x.max(axis=1, keepdims=True)
+        x -= np.log(np.exp(x).sum(axis=1, keepdims=True))
+        return x
+
+    def of_tokens(self, context: np.ndarray, klass: np.ndarray) -> np.ndarray:
+        """ln P(class | context) of each token, the softmax made once for each context."""
+        known, at = np.unique(context, return_inverse=True)
+        order = np.argsort(at, kind="stable")
+        bounds = np.searchsorted(at[order], np.arange(0, len(known) + CONTEXTS, CONTEXTS))
+        out = np.empty(len(context))
+        for k, (a, b) in enumerate(zip(bounds[:-1], bounds[1:], strict=True)):
+            mine = order[a:b]
+            out[mine] = self.log_probabilities(known[k * CONTEXTS : (k + 1) * CONTEXTS])[at[mine] - k * CONTEXTS, klass[mine]]
+        return out
 
 
 def _cells(blocks_df: DataFrame, classes: Classes) -> DataFrame:
@@ -183,56 +214,94 @@ def _cells(blocks_df: DataFrame, classes: Classes) -> DataFrame:
     return found.groupBy("context", "class").agg(F.sum("n").alias("n"))
 
 
+def _add_rows(table: np.ndarray, row: np.ndarray, values: np.ndarray) -> None:
+    """table[row] += values, rows that repeat added one after another."""
+    while len(row):
+        _, first = np.unique(row, return_index=True)
+        table[row[first]] += values[first]
+        if len(first) == len(row):
+            return
+        rest = np.ones(len(row), dtype=bool)
+        rest[first] = False
+        row, values = row[rest], values[rest]
+
+
+def _expected(weights: Weights, context: np.ndarray, klass: np.ndarray, many: np.ndarray) -> tuple[float, list[np.ndarray]]:
+    """Log-likelihood of cells, and the expected count of each feature and class.
+
+    Contexts of one class before are taken together: no two of them have one class
+    two before, so their expected counts are added to rows that hardly repeat.
+    """
+    order = np.lexsort([context, context % (weights.n + 1)])
+    context, klass, many = context[order], klass[order], many[order]
+    new = np.ones(len(context), dtype=bool)
+    new[1:] = context[1:] != context[:-1]
+    begin = np.flatnonzero(new)
+    known, total = context[begin], np.add.reduceat(many, begin)
+    group = known % (weights.n + 1)
+    bounds = [*np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])).tolist(), len(known)]
+    cells = [*begin.tolist(), len(context)]
+    sums = [np.zeros(t.shape) for t in weights.tables()]
+    likelihood = 0.0
+    for a, b in zip(bounds[:-1], bounds[1:], strict=True):
+        logs = weights.log_probabilities(known[a:b])
+        low, high = cells[a], cells[b]
+        likelihood += float((many[low:high] * logs[np.cumsum(new[low:high]) - 1, klass[low:high]]).sum())
+        np.exp(logs, out=logs)
+        logs *= total[a:b, None].astype(logs.dtype)
+        whole = logs.sum(axis=0, dtype=np.float64)
+        _, _, earlier, pair = weights.features(known[a:b])
+        sums[0][0] += whole
+        sums[1][group[a]] += whole
+        sums[2][earlier] += logs
+        _add_rows(sums[3], pair, logs)
+    return likelihood, sums
+
+
 def train(cells: DataFrame, n: int, epochs: int = EPOCHS) -> tuple[Weights, list[float]]:
     """Weights and the mean log-likelihood before each round. cells: context, class, n."""
     spark = cells.sparkSession
-    part = F.pmod(F.xxhash64("context"), F.lit(CONTEXT_PARTS))
+    part = F.pmod(F.xxhash64(F.pmod("context", F.lit(n + 1))), F.lit(CONTEXT_PARTS))  # by the class before
     cells = stored(cells.withColumn("part", part).repartition(CONTEXT_PARTS, "part").select("context", "class", "n"), "cells")
-    start = np.log(np.full((1, n), 1.0))
-    weights = Weights(start, np.zeros((n + 1, n)), np.zeros((n + 1, n)), np.zeros((TRIGRAM_BUCKETS, n)))
-    schema = pa.schema([("kind", pa.int32()), ("feature", pa.int32()), ("observed", pa.list_(pa.float64())), ("expected", pa.list_(pa.float64()))])
-    history = []
+    weights = Weights(np.zeros((1, n), np.float32), np.zeros((n + 1, n), np.float32), np.zeros((n + 1, n), np.float32), np.zeros((TRIGRAM_BUCKETS, n), np.float32))
+    shapes = [t.shape for t in weights.tables()]
+    history: list[float] = []
+    observed: list[np.ndarray] = []
+    total = 0.0
     for epoch in range(epochs + 1):
         shared = spark.sparkContext.broadcast(weights)
 
-        def gradient(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def gradient(batches: Iterator[pa.RecordBatch], shared=shared, first=not epoch) -> Iterator[pa.RecordBatch]:
             got = [b for b in batches if b.num_rows]
             if not got:
                 return
             whole = pa.Table.from_batches(got)
-            context, at = np.unique(whole.column("context").to_numpy(), return_inverse=True)
-            observed = np.zeros((len(context), n))
-            np.add.at(observed, (at, whole.column("class").to_numpy()), whole.column("n").to_numpy())
-            logs = shared.value.log_probabilities(context)
-            expected = np.exp(logs) * observed.sum(axis=1, keepdims=True)
-            features = [np.zeros(len(context), dtype=np.int64), context % (n + 1), context // (n + 1), _trigram(context)]
-            out = [{"kind": 9, "feature": 0, "observed": [float((observed * logs).sum())], "expected": [float(observed.sum())]}]
-            for kind, feature in enumerate(features):
-                names, where = np.unique(feature, return_inverse=True)
-                o, e = np.zeros((len(names), n)), np.zeros((len(names), n))
-                np.add.at(o, where, observed)
-                np.add.at(e, where, expected)
-                out += [{"kind": kind, "feature": int(f), "observed": o[i].tolist(), "expected": e[i].tolist()} for i, f in enumerate(names)]
-            yield pa.RecordBatch.from_pylist(out, schema=schema)
-
-        found = cells.mapInArrow(gradient, "kind int, feature int, observed array<double>, expected array<double>").toArrow()
+            context, klass, many = (whole.column(c).to_numpy() for c in ("context", "class", "n"))
+            w = shared.value
+            likelihood, expected = _expected(w, context, klass, many.astype(np.float64))
+            seen = [np.bincount(f * n + klass, weights=many, minlength=t.size) for f, t in zip(w.features(context), w.tables(), strict=True)] if first else []
+            pack = lambda parts: np.concatenate([p.ravel() for p in parts]).astype("<f4").tobytes() if parts else b""
+            yield pa.RecordBatch.from_pylist([{"likelihood": likelihood, "total": float(many.sum()), "expected": pack(expected), "observed": pack(seen)}])
+
+        found = cells.mapInArrow(gradient, "likelihood double, total double, expected binary, observed binary").toArrow()
         shared.unpersist()
-        kinds, features = found.column("kind").to_numpy(), found.column("feature").to_numpy()
-        o, e = found.column("observed").to_pylist(), found.column("expected").to_pylist()
-        tables = [weights.bias, weights.before, weights.earlier, weights.pair]
-        sums = [(np.zeros_like(t), np.zeros_like(t)) for t in tables]
-        likelihood = total = 0.0
-        for kind, feature, a, b in zip(kinds, features, o, e, strict=True):
-            if kind == 9:
-                likelihood, total = likelihood + a[0], total + b[0]
-            else:
-                sums[kind][0][feature] += a
-                sums[kind][1][feature] += b
-        history.append(likelihood / max(1.0, total))
+
+        def tables(name: str, found=found) -> list[np.ndarray]:
+            flat, out = np.zeros(sum(a * b for a, b in shapes)), []
+            for part in found.column(name):
+                flat += np.frombuffer(part.as_buffer(), dtype="<f4")
+            for a, b in shapes:
+                out.append(flat[: a * b].reshape(a, b))
+                flat = flat[a * b :]
+            return out
+
+        if not epoch:
+            observed, total = tables("observed"), sum(found.column("total").to_pylist())
+        history.append(sum(found.column("likelihood").to_pylist()) / max(1.0, total))
         if epoch == epochs or not total:
             break
         # observed minus expected, scaled by expected counts; the first step alone sets bias and bigrams
-        for kind, (table, (obs, ex)) in enumerate(zip(tables, sums, strict=True)):
+        for kind, (table, obs, ex) in enumerate(zip(weights.tables(), observed, tables("expected"), strict=True)):
             if epoch == 0 and kind == 0:
                 table += np.log((obs + 1.0) / (obs.sum() + n))
             elif epoch == 0:
@@ -247,12 +316,13 @@ def train(cells: DataFrame, n: int, epochs: int = EPOCHS) -> tuple[Weights, list
 @dataclass
 class Model:
     classes: Classes
-    logs: np.ndarray  # log10 P(class | context), contexts x classes
+    weights: Weights
     class_tokens: np.ndarray
     class_words: np.ndarray
     tokens: int  # N
     words: int  # V
     end_count: int
+    top: dict[str, int]  # counts of the most frequent words
 
     def word_logs(self, k: np.ndarray, c: np.ndarray) -> np.ndarray:
         """log10 P(word | class) of words with training count c."""
@@ -264,8 +334,8 @@ def fit(blocks_df: DataFrame, counts: DataFrame) -> tuple[Model, list[float]]:
     """The model of all training rows. counts: word, c (c > 0)."""
     docs = blocks_df.agg(F.sum("train_docs").alias("n")).first()["n"] or 0
     total = counts.agg(F.sum("c").alias("n"), F.count("*").alias("v")).first()
-    top = counts.orderBy(F.desc("c"), "word").limit(SINGLES).collect()
-    classes = Classes({r["word"]: i + 1 for i, r in enumerate(top)})
+    top = {r["word"]: r["c"] for r in counts.orderBy(F.desc("c"), "word").limit(TOP).collect()}
+    classes = Classes({w: i + 1 for i, w in enumerate(list(top)[:SINGLES])}, SHARED)
     shared = counts.sparkSession.sparkContext.broadcast(classes)
 
     def by_class(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -281,16 +351,15 @@ def fit(blocks_df: DataFrame, counts: DataFrame) -> tuple[Model, list[float]]:
     for r in sums:
         class_tokens[r["class"]], class_words[r["class"]] = r["n"], r["v"]
     weights, history = train(_cells(blocks_df, classes), classes.n)
-    logs = weights.log_probabilities(np.arange((classes.n + 1) ** 2)) / np.log(10.0)
-    return Model(classes, logs.astype(np.float32), class_tokens, class_words, int((total["n"] or 0) + docs), int(total["v"] + (docs > 0)), int(docs)), history
+    return Model(classes, weights, class_tokens, class_words, int((total["n"] or 0) + docs), int(total["v"] + (docs > 0)), int(docs), top), history
 
 
 def _score_block(model: Model, block: pa.Table, known: pa.Table) -> pa.Table:
-    """Scores of the documents of one block; known: idx, c of its words that training has."""
+    """Scores of the documents of one block; known: idx, c of its words that training has, but for the most frequent."""
     rows = block.to_pylist()
     out = []
     for row in rows:
-        c = np.zeros(len(row["words"]), dtype=np.float64)
+        c = np.fromiter((model.top.get(w, 0) for w in row["words"]), dtype=np.float64, count=len(row["words"]))
         c[known.column("idx").to_numpy()] = known.column("c").to_numpy()
         token, lengths = _unpacked(row["tokens"]), np.array(row["lengths"], dtype=np.int64)
         k = model.classes.of(row["words"])
@@ -301,26 +370,34 @@ def _score_block(model: Model, block: pa.Table, known: pa.Table) -> pa.Table:
         score = base
         if model.tokens:
             sequence, context = _histories(k[token], lengths, model.classes.n)
-            step = model.logs[context, sequence].astype(np.float64)
+            step = model.weights.of_tokens(context, sequence) / np.log(10.0)
             at = np.repeat(np.arange(len(lengths)), lengths + 1)
             score = np.bincount(at, weights=step, minlength=len(lengths)) + np.bincount(doc, weights=model.word_logs(k, c)[token], minlength=len(lengths))
         out.append(pa.table({"doc_id": pa.array(row["doc_ids"], pa.int64()), "held_out": pa.array(row["held"]), "n_tokens": pa.array(lengths + 1), "n_known": pa.array(n_known.astype(np.int64)), "base_score": pa.array(base), "score": pa.array(score)}))
     return pa.concat_tables(out) if out else pa.table({"doc_id": pa.array([], pa.int64()), "held_out": pa.array([], pa.bool_()), "n_tokens": pa.array([], pa.int64()), "n_known": pa.array([], pa.int64()), "base_score": pa.array([], pa.float64()), "score": pa.array([], pa.float64())})
 
 
-def scores(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every document."""
-    spark = docs.sparkSession
+def model_of(docs: DataFrame) -> tuple[Model, DataFrame, DataFrame]:
+    """The model of the training rows of docs, the stored blocks of all rows, and the stored word counts."""
     made = stored(docs.select("doc_id", "text", split_rule(7, 2).alias("held")).mapInArrow(_to_blocks, _BLOCKS), "blocks")
     entries = made.select(F.explode(F.arrays_zip("words", "counts")).alias("e")).select(F.col("e.words").alias("word"), F.col("e.counts").alias("n")).where("n > 0")
     counts = stored(entries.groupBy("word").agg(F.sum("n").alias("c")), "counts")
-    model, _ = fit(made, counts)
-    listed = made.select("block", F.posexplode("words").alias("idx", "word"))
-    known = listed.join(counts, "word").select(F.col("block").alias("of_block"), "idx", "c")
+    return fit(made, counts)[0], made, counts
+
+
+def scores(docs: DataFrame) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every document."""
+    spark = docs.sparkSession
+    model, made, counts = model_of(docs)
+    frequent = spark.createDataFrame([(w,) for w in model.top], "word string")  # TOP rows at most
+    listed = made.select("block", F.posexplode("words").alias("idx", "word")).join(F.broadcast(frequent), "word", "left_anti")
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-made.count() // BLOCKS_A_TASK))
+    known = listed.join(counts, "word").select(F.col("block").alias("of_block"), "idx", "c").repartition(tasks, "of_block")
+    held = made.select("block", "doc_ids", "held", "lengths", "tokens", "words").repartition(tasks, "block")
     shared = spark.sparkContext.broadcast(model)
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         return _score_block(shared.value, left, right)
 
-    scored = made.select("block", "doc_ids", "held", "lengths", "tokens", "words").groupBy("block").cogroup(known.groupBy("of_block")).applyInArrow(run, _SCORES)
+    scored = held.groupBy("block").cogroup(known.groupBy("of_block")).applyInArrow(run, _SCORES)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score")
