@@ -14,12 +14,13 @@ from pyspark.sql import functions as F
 KINDS = ("xxhash64", "md5")
 
 
-def unit_draw(seed: int, *keys: Column | str, kind: str = "xxhash64") -> Column:
-    """Uniform in [0, 1), a function of seed and keys alone."""
+def unit_draw(seed: int | Column, *keys: Column | str, kind: str = "xxhash64") -> Column:
+    """Uniform in [0, 1), a function of seed (a number or an int column) and keys alone."""
+    seed = seed if isinstance(seed, Column) else F.lit(seed)
     columns = [F.col(k) if isinstance(k, str) else k for k in keys]
     if kind == "xxhash64":
-        return F.shiftrightunsigned(F.xxhash64(F.lit(seed), *columns), 11) * F.lit(2.0**-53)
+        return F.shiftrightunsigned(F.xxhash64(seed, *columns), 11) * F.lit(2.0**-53)
     if kind == "md5":
-        text = F.concat_ws("|", F.lit(str(seed)), *[c.cast("string") for c in columns])
+        text = F.concat_ws("|", seed.cast("string"), *[c.cast("string") for c in columns])
         return F.conv(F.substring(F.md5(text.cast("binary")), 1, 13), 16, 10).cast("long").cast("double") / F.lit(float(1 << 52))
     raise ValueError(f"unknown draw {kind!r}: one of {KINDS}")

@@ -31,6 +31,34 @@ def combined_records(matrix: DataFrame, method: str, gamma: float = math.inf, se
     return kept.select("task", "i", "j").distinct().agg(F.count("*").alias("records"))
 
 
+def shuffled(df: DataFrame, last: bool = True) -> tuple[int, int]:
+    """(records, bytes) that the last exchange of df's plan (or all of them) wrote to shuffle files, after running it.
+
+    Read from the metrics of the plan that ran: bytes are those of serialised, compressed
+    records, what a network would carry.
+    """
+    execution = df._jdf.queryExecution()
+    execution.toRdd().count()
+    found: list[tuple[int, int]] = []
+
+    def walk(node) -> None:
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            return walk(node.executedPlan())
+        if kind.endswith("QueryStageExec"):
+            return walk(node.plan())
+        if kind == "ShuffleExchangeExec":
+            metrics = node.metrics()
+            found.append(tuple(int(metrics.apply(k).value()) for k in ("shuffleRecordsWritten", "shuffleBytesWritten")))
+        children = node.children()
+        for k in range(children.size()):
+            walk(children.apply(k))
+
+    walk(execution.executedPlan())
+    found = found[:1] if last else found
+    return sum(r for r, _ in found), sum(b for _, b in found)
+
+
 def expected_emissions(matrix: DataFrame, gamma: float, norms: DataFrame | None = None, method: str = "pair", row_share: float = 1.0, seed: int = 7) -> DataFrame:
     """One row: expected emissions, and the naive number of products.
 

@@ -9,18 +9,27 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallgram.operators.norms import attach, column_norms
+from tallgram.operators.matrix import SPLIT
+from tallgram.operators.norms import _one_row, attach, column_norms
 
 
 def all_pairs(matrix: DataFrame, *carried: str) -> DataFrame:
     """Every in-row pair i < j: (row_id, i, j, a, b and, for carried fields x, x_i and x_j).
 
-    Two generators and a filter; they share one generated-code stage with what follows.
+    Entries are in order of their columns, so each meets those after it only. Two
+    generators, inside one generated-code stage with what follows. Other columns of
+    the matrix are kept. Of a row dealt out by ``matrix.split_heavy`` only its own
+    share of first entries is used.
     """
-    first = matrix.select("row_id", "entries", F.explode("entries").alias("a"))
-    both = first.select("row_id", "a", F.explode("entries").alias("b")).where(F.col("b.col") > F.col("a.col"))
-    more = [F.col(f"{side}.{c}").alias(f"{c}_{k}") for c in carried for side, k in (("a", "i"), ("b", "j"))]
-    return both.select("row_id", F.col("a.col").alias("i"), F.col("b.col").alias("j"), F.col("a.val").alias("a"), F.col("b.val").alias("b"), *more)
+    others = [c for c in matrix.columns if c not in ("row_id", "entries", *SPLIT)]
+    own = F.slice("entries", F.col(SPLIT[0]) + 1, F.col(SPLIT[1])) if SPLIT[0] in matrix.columns else F.col("entries")
+    skipped = F.col(SPLIT[0]) if SPLIT[0] in matrix.columns else F.lit(0)
+    first = matrix.select("row_id", *others, "entries", skipped.alias("_skipped"), F.posexplode(own).alias("_at", "_a"))
+    # fields of the first entry become columns before the second generator, which then carries no struct along
+    mine = [F.col("_a.col").alias("i"), F.col("_a.val").alias("a"), *[F.col(f"_a.{c}").alias(f"{c}_i") for c in carried]]
+    later = F.slice("entries", F.col("_at") + F.col("_skipped") + 2, F.size("entries")).alias("_later")
+    both = first.select("row_id", *others, *mine, later).select("row_id", *others, "i", "a", *[f"{c}_i" for c in carried], F.explode("_later").alias("_b"))
+    return both.select("row_id", *others, "i", F.col("_b.col").alias("j"), "a", F.col("_b.val").alias("b"), *[c for x in carried for c in (f"{x}_i", F.col(f"_b.{x}").alias(f"{x}_j"))])
 
 
 def exact_gram(matrix: DataFrame, combine: bool = True) -> DataFrame:
@@ -81,9 +90,17 @@ def exact_gram_blocks(matrix: DataFrame, n: int, block: int = 512) -> DataFrame:
 
 
 def gram_from_cosines(cosines: DataFrame, norms: DataFrame) -> DataFrame:
-    """Upper triangle (i <= j, dot): cosine times both norms, and the exact diagonal from the norms."""
-    side = lambda k: norms.select(F.col("col").alias(k), F.col("norm").alias(f"norm_{k}"))
-    upper = cosines.join(F.broadcast(side("i")), "i").join(F.broadcast(side("j")), "j").select("i", "j", (F.col("cos") * F.col("norm_i") * F.col("norm_j")).alias("dot"))
+    """Upper triangle (i <= j, dot): cosine times both norms, and the exact diagonal from the norms.
+
+    Norms come as one broadcast array; over BROADCAST_COLUMNS columns they are joined.
+    """
+    one_row = _one_row(norms)
+    if one_row is not None:
+        both = cosines.crossJoin(F.broadcast(one_row)).withColumns({"norm_i": F.get("norms", "i"), "norm_j": F.get("norms", "j")})
+    else:
+        side = lambda k: norms.select(F.col("col").alias(k), F.col("norm").alias(f"norm_{k}"))
+        both = cosines.join(side("i"), "i").join(side("j"), "j")
+    upper = both.select("i", "j", (F.col("cos") * F.col("norm_i") * F.col("norm_j")).alias("dot"))
     return upper.unionByName(norms.select(F.col("col").alias("i"), F.col("col").alias("j"), F.col("sumsq").alias("dot")))
 
 

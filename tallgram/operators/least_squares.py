@@ -18,7 +18,7 @@ def right_side(matrix: DataFrame, response: str = "y") -> DataFrame:
     return entries.groupBy("col").agg(F.sum(F.col("val") * F.col("y")).alias("value"))
 
 
-def normal_equations(matrix: DataFrame, n: int, response: str = "y", gamma: float | None = None, seed: int = 7) -> DataFrame:
+def normal_equations(matrix: DataFrame, n: int, response: str = "y", gamma: float | None = None, seed: int = 7, draw: str = "xxhash64") -> DataFrame:
     """(col, coefficient). matrix: row form with a response column.
 
     gamma=None sums the Gram matrix exactly; otherwise it is sampled, for which no
@@ -26,9 +26,9 @@ def normal_equations(matrix: DataFrame, n: int, response: str = "y", gamma: floa
     """
     norms = column_norms(matrix)
     if gamma is None:
-        upper = exact_gram(matrix).select("i", "j", "dot").unionByName(norms.select(F.col("col").alias("i"), F.col("col").alias("j"), F.col("sumsq").alias("dot")))
+        upper = exact_gram(matrix.select("row_id", "entries")).select("i", "j", "dot").unionByName(norms.select(F.col("col").alias("i"), F.col("col").alias("j"), F.col("sumsq").alias("dot")))
     else:
-        upper = gram_from_cosines(sampled_cosines(matrix, gamma, seed, norms).select("i", "j", "cos"), norms)
+        upper = gram_from_cosines(sampled_cosines(matrix.select("row_id", "entries"), gamma, seed, norms, draw).select("i", "j", "cos"), norms)
     gram, right = dense(upper, n), np.zeros(n)
     for r in right_side(matrix, response).collect():
         right[r["col"]] = r["value"]

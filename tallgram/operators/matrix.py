@@ -69,6 +69,23 @@ def min_support(labelled: DataFrame, k: int, label: str = "label") -> DataFrame:
     return labelled.join(often, label, "left_semi")
 
 
+#: Columns of a row that was dealt out: first entries to skip, and how many are its own.
+SPLIT = ("head_from", "head_count")
+
+
+def split_heavy(matrix: DataFrame, heads: int) -> DataFrame:
+    """Rows of more than ``heads`` entries dealt out: each piece has all entries but only ``heads`` first partners of its own.
+
+    Pairs form inside a row, so a row of L entries is one task's L^2/2 pairs; its
+    pieces lie in several tasks. Only rows over the bound move. Norms must come from
+    the matrix as it was; draws, and so results, stay the same.
+    """
+    pieces = F.explode(F.sequence(F.lit(0), F.size("entries") - 1, F.lit(int(heads))))
+    light = matrix.where(F.size("entries") <= heads).select("*", F.lit(0).alias(SPLIT[0]), F.size("entries").alias(SPLIT[1]))
+    heavy = matrix.where(F.size("entries") > heads).select("*", pieces.alias(SPLIT[0]), F.lit(int(heads)).alias(SPLIT[1]))
+    return light.unionByName(heavy.repartition("row_id", SPLIT[0]))
+
+
 def cap_rows(matrix: DataFrame, most: int) -> DataFrame:
     """Without rows of more than ``most`` entries. Changes the matrix: results are of what is left."""
     return matrix.where(F.size("entries") <= most)

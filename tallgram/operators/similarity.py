@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from tallgram.functions.draws import unit_draw
 from tallgram.operators.gram import all_pairs, mirror
 from tallgram.operators.norms import attach, column_norms
 from tallgram.operators.sampling import estimate, pair_emissions
@@ -17,30 +18,57 @@ BROADCAST_PAIRS = 2_000_000
 def similar_columns(matrix: DataFrame, s: float, alpha: float | None = None, delta: float = 0.5, fail: float = 0.1, method: str = "pair", seed: int = 7, draw: str = "xxhash64", verify: bool = False) -> DataFrame:
     """(i, j, cos) of pairs whose estimate is at least s (1 - delta), cos the estimate.
 
-    Entries must not be negative. With verify, the candidates are summed exactly in a
-    second scan and those of cosine s or more stay, cos then being exact.
+    Entries must not be negative; budgets are for entries scaled into [0, 1], so gamma
+    grows with the square of the largest. Columns of one value only (0/1 matrices)
+    can't reach a cosine over the ratio of their norms: such pairs aren't drawn at
+    all. With verify, the candidates are summed exactly in a second scan and those of
+    cosine s or more stay, cos then being exact.
     """
-    norms = column_norms(matrix).persist()
-    try:
-        n = norms.count()
-        alpha = alpha_for(delta, fail, max(1, n * (n - 1) // 2)) if alpha is None else alpha
-        found = estimate(matrix, method, gamma_for_similarity(s, alpha), seed, norms, draw)
-        found = found.where(F.col("cos") >= s * (1 - delta)).select("i", "j", "cos")
-        return exact_of(matrix, found.select("i", "j"), norms).where(F.col("cos") >= s) if verify else found
-    finally:
-        norms.unpersist()
+    from tallgram.operators.matrix import profile
+
+    found = profile(matrix).first()
+    if (found["smallest"] or 0) < 0:
+        raise ValueError("negative entries: no guarantee for single pairs")
+    norms = column_norms(matrix)
+    n = found["n"]
+    alpha = alpha_for(delta, fail, max(1, n * (n - 1) // 2)) if alpha is None else alpha
+    gamma = gamma_for_similarity(s, alpha, method, found["h"] or 1.0) * float(found["most"] or 1.0) ** 2
+    if method == "pair":
+        kept = pair_emissions(matrix, gamma, seed, norms, draw, least_ratio=s if found["least"] == found["most"] else 0.0)
+        sums = kept.groupBy("i", "j").agg(F.sum("v").alias("v"), F.max("w").alias("w"))
+        estimates = sums.select("i", "j", (F.col("v") / F.least(F.lit(float(gamma)), F.col("w"))).alias("cos"))
+    else:
+        estimates = estimate(matrix, method, gamma, seed, norms, draw)
+    similar = estimates.where(F.col("cos") >= s * (1 - delta)).select("i", "j", "cos")
+    return exact_of(matrix, similar.select("i", "j"), norms).where(F.col("cos") >= s) if verify else similar
 
 
 def _wanted(pairs: DataFrame) -> DataFrame:
-    wanted = pairs.select(F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j")).where("i <> j").distinct()
-    return F.broadcast(wanted) if wanted.count() <= BROADCAST_PAIRS else wanted
+    return pairs.select(F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j")).where("i <> j").distinct()
+
+
+def _wanted_products(matrix: DataFrame, wanted: DataFrame, norms: DataFrame) -> DataFrame:
+    """Products of the wanted pairs only: (row_id, i, j, v, w).
+
+    Up to BROADCAST_PAIRS, every first entry meets the array of its wanted partners
+    before pairs are formed, so a row's other pairs never exist. Beyond that, all
+    pairs are formed and joined.
+    """
+    rows = attach(matrix, norms)
+    w = (F.col("norm_i") * F.col("norm_j")).alias("w")
+    if wanted.count() > BROADCAST_PAIRS:
+        return all_pairs(rows, "norm").join(wanted, ["i", "j"], "left_semi").select("row_id", "i", "j", (F.col("a") * F.col("b")).alias("v"), w)
+    partners = wanted.groupBy("i").agg(F.sort_array(F.collect_list("j")).alias("partners"))
+    first = rows.select("row_id", "entries", F.explode("entries").alias("a")).select("row_id", "entries", F.col("a.col").alias("i"), F.col("a.val").alias("x"), F.col("a.norm").alias("norm_i"))
+    met = first.join(F.broadcast(partners), "i").select("row_id", "i", "x", "norm_i", F.filter("entries", lambda e: F.array_contains("partners", e["col"])).alias("found"))
+    both = met.select("row_id", "i", "x", "norm_i", F.explode("found").alias("b"))
+    return both.select("row_id", "i", F.col("b.col").alias("j"), (F.col("x") * F.col("b.val")).alias("v"), (F.col("norm_i") * F.col("b.norm")).alias("w"))
 
 
 def exact_of(matrix: DataFrame, pairs: DataFrame, norms: DataFrame | None = None) -> DataFrame:
     """(i, j, cos, dot) of the given pairs, exact; pairs that never co-occur have no row."""
-    rows = attach(matrix, column_norms(matrix) if norms is None else norms)
-    products = all_pairs(rows, "norm").select("i", "j", (F.col("a") * F.col("b")).alias("v"), (F.col("norm_i") * F.col("norm_j")).alias("w"))
-    sums = products.join(_wanted(pairs), ["i", "j"], "left_semi").groupBy("i", "j").agg(F.sum("v").alias("dot"), F.max("w").alias("w"))
+    products = _wanted_products(matrix, _wanted(pairs), column_norms(matrix) if norms is None else norms)
+    sums = products.groupBy("i", "j").agg(F.sum("v").alias("dot"), F.max("w").alias("w"))
     return sums.select("i", "j", (F.col("dot") / F.col("w")).alias("cos"), "dot")
 
 
@@ -48,7 +76,8 @@ def entry_estimates(matrix: DataFrame, pairs: DataFrame, gamma: float, seed: int
     """(i, j, cos, dot, n_kept) of the given pairs only; 0 where nothing was kept."""
     g = F.lit(float(gamma))
     wanted = _wanted(pairs)
-    kept = pair_emissions(matrix, gamma, seed, norms, draw).join(wanted, ["i", "j"], "left_semi")
+    products = _wanted_products(matrix, wanted, column_norms(matrix) if norms is None else norms)
+    kept = products.where((F.col("w") <= g) | (unit_draw(seed, "row_id", "i", "j", kind=draw) < g / F.col("w")))
     sums = kept.groupBy("i", "j").agg(F.sum("v").alias("v"), F.count("*").alias("n_kept"), F.max("w").alias("w"))
     found = sums.select("i", "j", (F.col("v") / F.least(g, F.col("w"))).alias("cos"), (F.col("v") / F.least(g, F.col("w")) * F.col("w")).alias("dot"), "n_kept")
     return wanted.join(found, ["i", "j"], "left").select("i", "j", F.coalesce("cos", F.lit(0.0)).alias("cos"), F.coalesce("dot", F.lit(0.0)).alias("dot"), F.coalesce("n_kept", F.lit(0)).alias("n_kept"))

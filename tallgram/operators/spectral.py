@@ -8,6 +8,7 @@ it by vectors where it lies.
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -52,10 +53,21 @@ def spectral_factors(upper: DataFrame, n: int, k: int | None = None) -> tuple[Da
 
 
 def left_factor(matrix: DataFrame, values: DataFrame, vectors: DataFrame, k: int) -> DataFrame:
-    """(row_id, rank, weight): the rows of U for the first k singular values. V is broadcast: n x k numbers."""
-    scaled = vectors.where(F.col("rank") <= k).join(values.where("sigma > 0"), "rank").select("rank", "col", (F.col("weight") / F.col("sigma")).alias("scaled"))
-    entries = matrix.select("row_id", F.inline("entries")).join(F.broadcast(scaled), "col")
-    return entries.groupBy("row_id", "rank").agg(F.sum(F.col("val") * F.col("scaled")).alias("weight"))
+    """(row_id, rank, weight): the rows of U for the first k singular values. Narrow: V travels as one array of n x k numbers.
+
+    n is at most DENSE_COLUMNS here, since V comes from a decomposition in the driver.
+    """
+    sigma = {r["rank"]: r["sigma"] for r in values.where((F.col("rank") <= k) & (F.col("sigma") > 0)).collect()}
+    found = vectors.where(F.col("rank").isin(list(sigma))).toArrow()
+    ranks, col, weight = (found.column(c).to_numpy() for c in ("rank", "col", "weight"))
+    n = int(col.max()) + 1 if len(col) else 0
+    table = {r: np.zeros(n) for r in sorted(sigma)}
+    for r in table:
+        table[r][col[ranks == r]] = weight[ranks == r] / sigma[r]
+    one = matrix.sparkSession.createDataFrame(pa.table({"factors": pa.array([[{"rank": r, "of": v.tolist()} for r, v in table.items()]], pa.list_(pa.struct([("rank", pa.int32()), ("of", pa.list_(pa.float64()))])))}))
+    rows = matrix.crossJoin(F.broadcast(one)).select("row_id", "entries", F.explode("factors").alias("f"))
+    weight = F.aggregate("entries", F.lit(0.0), lambda a, e: a + e["val"] * F.coalesce(F.get("f.of", e["col"]), F.lit(0.0)))
+    return rows.select("row_id", F.col("f.rank").alias("rank"), weight.alias("weight"))
 
 
 def spectral_norm(symmetric: np.ndarray) -> float:

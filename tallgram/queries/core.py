@@ -108,17 +108,17 @@ def mirrored_gram_w4(spark, d):
 
 
 _ALPHA = 12.0
-for _w, _s in (("w2b", 0.3), ("w1b", 0.15)):
+for _w, _s in (("w2b", 0.3), ("w1b", 0.15), ("w2", 0.4), ("w4d", 0.2), ("w10", 0.5)):
     _g = planner.gamma_for_similarity(_s, _ALPHA)
     add(
         f"similar_pairs_{_w}",
         lambda s, d, w=_w, c=_s: _rounded(similarity.similar_columns(_m(s, d, w), c, alpha=_ALPHA, draw="md5", seed=SEED)),
-        sql.with_pairs(_w, f", e as (select i, j, sum(x * y) / least({sql.real(_g)}, max(ni * nj)) as cos from q where {sql.pair_kept(_g, SEED)} group by i, j) select i, j, round(cos, 6) as cos from e where cos >= {sql.real(_s * 0.5)}"),
+        sql.with_pairs(_w, f", e as (select i, j, sum(x * y) / least({sql.real(_g)}, max(ni * nj)) as cos from q where {sql.pair_kept(_g, SEED)} and least(ni, nj) >= greatest(ni, nj) * {sql.real(_s)} group by i, j) select i, j, round(cos, 6) as cos from e where cos >= {sql.real(_s * 0.5)}"),
     )
     add(
         f"similar_pairs_verified_{_w}",
         lambda s, d, w=_w, c=_s: _rounded(similarity.similar_columns(_m(s, d, w), c, alpha=_ALPHA, draw="md5", seed=SEED, verify=True)),
-        sql.with_pairs(_w, f", e as (select i, j, sum(x * y) / least({sql.real(_g)}, max(ni * nj)) as cos from q where {sql.pair_kept(_g, SEED)} group by i, j), f as (select i, j, sum(x * y) / max(ni * nj) as cos, sum(x * y) as dot from q group by i, j) select f.i, f.j, round(f.cos, 6) as cos, round(f.dot, 6) as dot from f join e using (i, j) where e.cos >= {sql.real(_s * 0.5)} and f.cos >= {sql.real(_s)}"),
+        sql.with_pairs(_w, f", e as (select i, j, sum(x * y) / least({sql.real(_g)}, max(ni * nj)) as cos from q where {sql.pair_kept(_g, SEED)} and least(ni, nj) >= greatest(ni, nj) * {sql.real(_s)} group by i, j), f as (select i, j, sum(x * y) / max(ni * nj) as cos, sum(x * y) as dot from q group by i, j) select f.i, f.j, round(f.cos, 6) as cos, round(f.dot, 6) as dot from f join e using (i, j) where e.cos >= {sql.real(_s * 0.5)} and f.cos >= {sql.real(_s)}"),
     )
 
 
@@ -253,7 +253,12 @@ def lstsq_orthogonal_w7(spark, d):
 
 @query("lstsq_sampled_w7")
 def lstsq_sampled_w7(spark, d):
-    return _rounded(least_squares.normal_equations(workloads.regression(spark, d), 4, gamma=1e12), 2)
+    """Coefficients from a sampled Gram matrix (a quarter of the norm products is over the budget's reach), beside the exact ones."""
+    m = workloads.regression(spark, d)
+    norms = sorted(r["norm"] for r in column_norms(m).collect())
+    got = least_squares.normal_equations(m, 4, gamma=norms[-1] * norms[-2] / 4, seed=SEED, draw="md5")
+    want = least_squares.normal_equations(m, 4).withColumnRenamed("coefficient", "exact")
+    return _rounded(got.join(want, "col"), 2)
 
 
 # --- cost ---
@@ -311,14 +316,14 @@ def lower_bound_blocks(spark, d):
 _SWITCH, _DAILY = 16, 46.05
 
 
-@query("daily_switch_w3", sql.with_pairs("w3", f", k as (select (row_id % 100)::int as day, count(*) as naive, count(*) filter (where row_id % 100 < {_SWITCH} or {sql.pair_kept(_DAILY, SEED)}) as emissions from q group by 1) select day, naive, emissions, day >= {_SWITCH} as sampled from k"))
+@query("daily_switch_w3", sql.with_pairs("w3", f", k as (select dayofmonth(date '1970-01-01' + (row_id % 1048576)::int)::int as day, count(*) as naive, count(*) filter (where dayofmonth(date '1970-01-01' + (row_id % 1048576)::int) < {_SWITCH} or {sql.pair_kept(_DAILY, SEED)}) as emissions from q group by 1) select day, naive, emissions, day >= {_SWITCH} as sampled from k"))
 def daily_switch_w3(spark, d):
     """Emissions of each day of the daily job: all products before day 16, sampled from then on."""
     from tallgram.functions.draws import unit_draw
     from tallgram.operators.norms import attach
 
     m = _m(spark, d, "w3")
-    pairs = gram.all_pairs(attach(m, column_norms(m)), "norm").withColumn("w", F.col("norm_i") * F.col("norm_j")).withColumn("day", F.pmod("row_id", F.lit(100)).cast("int"))
+    pairs = gram.all_pairs(attach(m, column_norms(m)), "norm").withColumn("w", F.col("norm_i") * F.col("norm_j")).withColumn("day", F.dayofmonth(F.date_from_unix_date(F.pmod("row_id", F.lit(1 << 20)).cast("int"))))
     kept = (F.col("day") < _SWITCH) | (F.col("w") <= _DAILY) | (unit_draw(SEED, "row_id", "i", "j", kind="md5") < F.lit(_DAILY) / F.col("w"))
     return pairs.groupBy("day").agg(F.count("*").alias("naive"), F.count_if(kept).alias("emissions")).withColumn("sampled", F.col("day") >= _SWITCH)
 
@@ -362,17 +367,84 @@ def _errors(spark, d, w: str, gammas: list[float], methods: list[str]) -> DataFr
 
 
 add("gamma_sweep_w4", lambda s, d: _errors(s, d, "w4", [6.25, 25.0, 100.0, 400.0], ["pair"]))
+add("gamma_sweep_w4b", lambda s, d: _errors(s, d, "w4b", [25.0, 100.0, 400.0], ["pair"]))
 add("method_ablation_w4", lambda s, d: _errors(s, d, "w4", [25.0, 100.0], ["pair", "staged", "thinned"]))
-add("success_rate_w3", lambda s, d: _errors(s, d, "w3", [46.0, 100.0], ["pair"]))
+add("method_ablation_w4b", lambda s, d: _errors(s, d, "w4b", [100.0], ["pair", "staged", "thinned"]))
+for _w, _gs in (("w3", [46.0, 100.0]), ("w2b", [40.0, 160.0]), ("w4b", [100.0])):
+    add(f"success_rate_{_w}", lambda s, d, w=_w, gs=_gs: _errors(s, d, w, gs, ["pair"]))
 
 
-@query("plans", "select * from (values ('w4','spectral',0.5,'pair'), ('w4','similar',0.5,'thinned'), ('w5','spectral',0.5,'exact')) t(workload, goal, target, method)")
+@query("plans", "select * from (values ('w4','spectral',0.5,'pair'), ('w4','similar',0.5,'pair'), ('w5','spectral',0.5,'exact')) t(workload, goal, target, method)")
 def plans(spark, d):
     out = []
     for w, goal, x in (("w4", "spectral", 0.5), ("w4", "similar", 0.5), ("w5", "spectral", 0.5)):
         m = _m(spark, d, w)
         p = matrix.profile(m).first().asDict()
         g = planner.gamma_for_spectral(p["n"], x) if goal == "spectral" else planner.gamma_for_similarity(x, planner.alpha_for(0.5, 0.1, p["n"] * (p["n"] - 1) // 2))
-        expected = cost.expected_emissions(m, g, method="pair" if goal == "spectral" else "thinned").first()["expected"] * 1.02
+        expected = cost.expected_emissions(m, g, method="pair").first()["expected"] * 1.02
         out.append((w, goal, x, planner.plan(p, goal, eps=x, s=x, expected=expected).method))
     return spark.createDataFrame(out, "workload string, goal string, target double, method string")
+
+
+# --- from a matrix to a result: profile, sample of rows, plan, execution ---
+
+
+def _planned_pairs(spark, d, w: str, s: float) -> DataFrame:
+    return _rounded(planner.planned_pairs(_m(spark, d, w), s, draw="md5", seed=SEED)[1])
+
+
+def _planned_sql(w: str, s: float) -> str:
+    """The plan's own arithmetic in SQL: alpha for both tails over all pairs, gamma with the square of the largest entry."""
+    gamma = f"(select 2 * ln(2.0::double * (n * (n - 1) // 2) / 0.1::double) / (0.5::double * 0.5::double) / {sql.real(s)} * most * most from (select count(*) as n, (select max(abs(val)) from m) as most from c))"
+    alpha_over = "(1.5::double * ln(1.5::double) - 0.5::double)"
+    gamma = gamma.replace("2 * ln(2.0::double * (n * (n - 1) // 2) / 0.1::double) / (0.5::double * 0.5::double)", f"greatest(ln(2.0::double * (n * (n - 1) // 2) / 0.1::double) / {alpha_over}, 2 * ln(2.0::double * (n * (n - 1) // 2) / 0.1::double) / 0.25::double)")
+    kept = sql.pair_kept("(select gamma from g)", SEED)
+    plan = "p as (select sum(least(1.0::double, (select gamma from g) / (ni * nj))) >= count(*) as exact from q)"
+    return sql.with_pairs(w, f", g as (select {gamma} as gamma), {plan}, e as (select i, j, sum(x * y) / case when (select exact from p) then max(ni * nj) else least((select gamma from g), max(ni * nj)) end as cos from q where (select exact from p) or {kept} group by i, j) select i, j, round(cos, 6) as cos from e where cos >= case when (select exact from p) then {sql.real(s)} else {sql.real(s)} * 0.5::double end")
+
+
+for _w, _s in (("w4c", 0.05), ("w2b", 0.6), ("w4", 0.9)):
+    add(f"planned_pairs_{_w}", lambda s, d, w=_w, c=_s: _planned_pairs(s, d, w, c), _planned_sql(_w, _s))
+
+_EPS = 1.0
+_PLANNED = f"(select {sql.real(4 * planner.C1 * planner.C1)} * count(*) / {sql.real(_EPS * _EPS)} from c)"
+
+
+@query("planned_spectrum_w4b", sql.with_pairs("w4b", f", g as (select {_PLANNED} as gamma), e as (select sum(x * y) / least((select gamma from g), max(ni * nj)) * max(ni * nj) as dot from q where {sql.pair_kept('(select gamma from g)', SEED)} group by i, j) select 'pair' as method, round((select sum(sumsq) from c), 3) as squares, round((select sum(sumsq * sumsq) from c) + 2 * (select sum(dot * dot) from e), 0) as fourths"))
+def planned_spectrum_w4b(spark, d):
+    """Sums of squares and fourth powers of the estimated singular values: what SQL can say of the sampled Gram matrix."""
+    m = _m(spark, d, "w4b")
+    the_plan, values, _ = planner.planned_spectrum(m, _columns(m), _EPS, draw="md5", seed=SEED)
+    s2 = F.col("sigma") * F.col("sigma")
+    return values.agg(F.lit(the_plan.method).alias("method"), F.round(F.sum(s2), 3).alias("squares"), F.round(F.sum(s2 * s2), 0).alias("fourths"))
+
+
+# --- heavy rows, the middle of several estimates, bytes ---
+
+add("exact_gram_split_rows_w2b", lambda s, d: gram.exact_gram(matrix.split_heavy(_m(s, d, "w2b"), 8)), sql.with_pairs("w2b", "select i, j, sum(x * y) as dot, count(*) as n_terms from q group by i, j"))
+
+
+def _split(spark, d, method: str) -> DataFrame:
+    m = _m(spark, d, "w2b")
+    return _rounded(sampling.estimate(matrix.split_heavy(m, 8), method, 10.0, SEED, column_norms(m), "md5"))
+
+
+add("sampled_split_rows_w2b", lambda s, d: _split(s, d, "pair"), sql.with_pairs("w2b", f"select i, j, round(sum(x * y) / least({sql.real(10.0)}, max(ni * nj)), 6) as cos, count(*) as n_kept from q where {sql.pair_kept(10.0, SEED)} group by i, j"))
+add("staged_split_rows_w2b", lambda s, d: _split(s, d, "staged"), sql.with_pairs("w2b", f"select i, j, round(sum(x * y / {sql.staged_weight(10.0)}), 6) as cos, count(*) as n_kept from q where {sql.staged_kept(10.0, SEED)} group by i, j"))
+
+_DISTANCES = ", w as (select a.seed as a, b.seed as b, sum((a.cos - b.cos) * (a.cos - b.cos)) as far from g a join g b on a.i = b.i and a.j = b.j and a.seed <> b.seed group by 1, 2), r as (select a, far, row_number() over (partition by a order by far) as k from w), best as (select a from r where k = " + str((len(SEEDS) - 1) // 2 + 1) + " order by far, a limit 1)"
+
+
+@query("central_w4", sql.with_pairs("w4", _grid_sql("w4", 25.0) + _DISTANCES + " select seed, i, j, round(cos, 6) as cos from e where seed = (select a from best)"))
+def central_w4(spark, d):
+    return _rounded(sampling.central(sampling.repeated_estimates(_m(spark, d, "w4"), "pair", 25.0, SEEDS, draw="md5"), SEEDS).select("seed", "i", "j", "cos"))
+
+
+@query("daily_bytes_w3")
+def daily_bytes_w3(spark, d):
+    """Records and bytes that the exchange on pairs writes over the second half of the month: all products, and the sampled method."""
+    m = _m(spark, d, "w3")
+    norms = column_norms(m)
+    late = m.where(F.dayofmonth(F.date_from_unix_date(F.pmod("row_id", F.lit(1 << 20)).cast("int"))) >= _SWITCH)
+    runs = {"exact": gram.exact_gram(late, combine=False), "combined": gram.exact_gram(late), "sampled": sampling.sampled_cosines(late, _DAILY, SEED, norms)}
+    return spark.createDataFrame([(k, *cost.shuffled(df)) for k, df in runs.items()], "method string, records long, bytes long")

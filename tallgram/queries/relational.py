@@ -415,3 +415,119 @@ def restricted_similarity_w2b(s, d):
     m = workloads.matrix(s, d, "w2b")
     wanted = gram.all_pairs(m).where("i < 10").select("i", "j").distinct()
     return _round(similarity.exact_of(m, wanted).select("i", "j", "cos"))
+
+
+# --- sources, sinks and the rest of the surface ---
+
+
+def _shared(s) -> str:
+    from tallgram.queries.streams import _folder
+
+    return _folder(s)
+
+
+def _triplets_from(s, d, fmt: str) -> DataFrame:
+    from tallgram.sources import files
+
+    path = f"{_shared(s)}/triplets"
+    files.save_triplets(workloads.triplets(s, d, "w4c"), path, fmt)
+    return files.load_triplets(s, path, fmt)
+
+
+for _fmt in ("csv", "json", "orc", "text", "parquet"):
+    add(f"triplets_{_fmt}_w4c", lambda s, d, f=_fmt: _triplets_from(s, d, f), f"with {sql.matrix('w4c')} select row_id, col, val from m")
+
+
+@query("saved_rows_w4", f"with {sql.matrix('w4')} select row_id, count(*)::integer as n, min(col) as first from m group by row_id")
+def saved_rows_w4(s, d):
+    """Row form stored in folders by the size of the row, and read back without a shuffle."""
+    from tallgram.sources import files
+
+    path = f"{_shared(s)}/rows"
+    files.save_rows(workloads.matrix(s, d, "w4").withColumn("n", F.size("entries")), path, "n")
+    return s.read.parquet(path).select("row_id", F.size("entries").alias("n"), F.element_at("entries", 1)["col"].alias("first"))
+
+
+@query("saved_pairs_w2b", f"with {_COS_W2B} select i, j, round(cos, 6) as cos from e where i between 20 and 60")
+def saved_pairs_w2b(s, d):
+    """Pairs in folders of first columns: a range of columns reads its folders only."""
+    from tallgram.sources import files
+
+    path = f"{_shared(s)}/pairs"
+    files.save_pairs(_cosines(s, d).select("i", "j", "cos"), path, 16)
+    return _round(files.load_pairs(s, path, 20, 60, 16))
+
+
+@query("bucketed_rows_w4c", f"with {sql.matrix('w4c')} select row_id, count(*) as n, sum(val) as total from m group by row_id")
+def bucketed_rows_w4c(s, d):
+    """A table bucketed by row, grouped by row without an exchange."""
+    import uuid
+
+    from tallgram.sources import files
+
+    name = f"bucketed_{uuid.uuid4().hex}"
+    files.save_bucketed(workloads.triplets(s, d, "w4c"), name, 8)
+    return s.table(name).groupBy("row_id").agg(F.count("*").alias("n"), F.sum("val").alias("total"))
+
+
+@query("stable_row_ids", "select count(*) as n, count(*) as ids from nation")
+def stable_row_ids(s, d):
+    from tallgram.sources.tables import with_row_ids
+
+    ids = with_row_ids(T(s, d, "nation").select("n_nationkey", F.col("_metadata")))
+    return ids.agg(F.count("*").alias("n"), F.count_distinct("file", "row").alias("ids"))
+
+
+@query("sql_parameters", "select p_partkey, p_size from part where p_size between 10 and 20 and p_brand = 'Brand#11'")
+def sql_parameters(s, d):
+    T(s, d, "part").createOrReplaceTempView("part_view")
+    return s.sql("select p_partkey, p_size from part_view where p_size between :low and :high and p_brand = :brand", args={"low": 10, "high": 20, "brand": "Brand#11"})
+
+
+@query("sql_unit_draw_w4", f"with {sql.matrix('w4')} select count(*) as n, true as inside from m")
+def sql_unit_draw_w4(s, d):
+    """The registered draw is the one of the methods, and lies in [0, 1)."""
+    from tallgram.functions.draws import unit_draw
+
+    udfs.register(s)
+    rows = matrix.to_triplets(workloads.matrix(s, d, "w4")).select("row_id", "col", F.expr("unit_draw(7, row_id, cast(col as bigint), cast(col as bigint))").alias("u"))
+    same = (F.col("u") == unit_draw(7, F.col("row_id"), F.col("col").cast("long"), F.col("col").cast("long"))) & F.col("u").between(0, 0.9999999999999999)
+    return rows.agg(F.count("*").alias("n"), F.bool_and(same).alias("inside"))
+
+
+@query("json_out_events", "select event_id, '{\"t\":\"' || event_type || '\",\"u\":' || user_id || '}' as doc, 'STRUCT<k: BIGINT>' as shape from events")
+def json_out_events(s, d):
+    shape = F.schema_of_json(F.lit('{"k": 1}'))
+    return T(s, d, "events").select("event_id", F.to_json(F.struct(F.col("event_type").alias("t"), F.col("user_id").alias("u"))).alias("doc"), shape.alias("shape"))
+
+
+@query("local_sort_w4c", f"with {sql.matrix('w4c')} select row_id, max(val) as heaviest from m group by row_id")
+def local_sort_w4c(s, d):
+    """Rows sorted inside their partitions, so the first of each row is its heaviest entry: no exchange but the one by row."""
+    t = workloads.triplets(s, d, "w4c").repartition("row_id").sortWithinPartitions("row_id", F.desc("val"))
+    return t.groupBy("row_id").agg(F.first("val").alias("heaviest"))
+
+
+@query("grouped_map_centred_w4c", f"with {sql.matrix('w4c')}, a as (select col, avg(val) as mean from m group by col) select row_id, col, round(val - mean, 6) as centred from m join a using (col)")
+def grouped_map_centred_w4c(s, d):
+    """Each column less its mean, one group at a time. Groups are columns; the built-in way is a window or a join with the means."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    def centred(rows: pa.Table) -> pa.Table:
+        val = rows.column("val")
+        return pa.table({"row_id": rows.column("row_id"), "col": rows.column("col"), "centred": pc.subtract(val, pc.mean(val))})
+
+    return _round(workloads.triplets(s, d, "w4c").groupBy("col").applyInArrow(centred, "row_id long, col int, centred double"))
+
+
+@query("cogroup_clicks_purchases", "select coalesce(a.user_id, b.user_id) as user_id, coalesce(a.n, 0) as clicks, coalesce(b.n, 0) as purchases from (select user_id, count(*) as n from events where event_type = 'click' group by 1) a full join (select user_id, count(*) as n from events where event_type = 'purchase' group by 1) b on a.user_id = b.user_id")
+def cogroup_clicks_purchases(s, d):
+    import pyarrow as pa
+
+    def counts(left: pa.Table, right: pa.Table) -> pa.Table:
+        one = left if left.num_rows else right
+        return pa.table({"user_id": one.column("user_id").slice(0, 1), "clicks": pa.array([left.num_rows], pa.int64()), "purchases": pa.array([right.num_rows], pa.int64())})
+
+    e = T(s, d, "events").select("user_id", "event_type")
+    return e.where("event_type = 'click'").groupBy("user_id").cogroup(e.where("event_type = 'purchase'").groupBy("user_id")).applyInArrow(counts, "user_id long, clicks long, purchases long")

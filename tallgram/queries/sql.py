@@ -3,16 +3,16 @@
 from __future__ import annotations
 
 _WORDS = r"unnest(list_distinct(regexp_extract_all(lower(text), '\p{L}+')))"
-_TYPES = "['click','error','purchase','signup','view']"
 
 #: (row_id, label, val) of each workload.
 LABELLED = {
-    "w1": f"select distinct cast(floor(epoch_us(ts) / 3600000000) as bigint) * 10 + list_position({_TYPES}, event_type) as row_id, user_id as label, 1.0::double as val from events",
+    "w1": "select distinct cast(floor(epoch_us(ts) / 3600000000) as bigint) * 4294967296 + cast('0x' || substr(md5(coalesce(event_type, '')), 1, 8) as bigint) as row_id, user_id as label, 1.0::double as val from events",
     "w1b": "select distinct l_partkey as row_id, o_custkey as label, 1.0::double as val from lineitem join orders on l_orderkey = o_orderkey",
-    "w2": f"select row_id, label, 1.0::double as val from (select conv_id * 1000 + turn as row_id, {_WORDS} as label from conversations) qualify count(*) over (partition by label) >= 5",
-    "w2b": f"select row_id, label, 1.0::double as val from (select conv_id * 1000 + turn as row_id, {_WORDS} as label from conversations) qualify count(*) over (partition by label) >= 20",
+    "w2": f"select row_id, label, 1.0::double as val from (select conv_id * 16777216 + turn as row_id, {_WORDS} as label from conversations) qualify count(*) over (partition by label) >= 5",
+    "w2b": f"select row_id, label, 1.0::double as val from (select conv_id * 16777216 + turn as row_id, {_WORDS} as label from conversations) qualify count(*) over (partition by label) >= 20",
     "w2c": f"select row_id, label, 1.0::double as val from (select doc_id as row_id, {_WORDS} as label from documents) qualify count(*) over (partition by label) >= 20",
-    "w3": "select distinct user_id * 100 + dayofmonth(ts) as row_id, cast(json_extract_string(props, '$.k') as integer) as label, 1.0::double as val from events where json_extract_string(props, '$.k') is not null",
+    "w3": "select distinct user_id * 1048576 + date_diff('day', date '1970-01-01', ts::date) as row_id, cast(json_extract_string(props, '$.k') as integer) as label, 1.0::double as val from events where json_extract_string(props, '$.k') is not null",
+    "w10": f"select row_id, label, 1.0::double as val from (select doc_id as row_id, {_WORDS} as label from documents where doc_id in (select doc_id from labels where toxic = 1)) qualify count(*) over (partition by label) >= 10",
     "w4": "select distinct l_orderkey as row_id, p_brand as label, 1.0::double as val from lineitem join part on l_partkey = p_partkey",
     "w4b": "select distinct l_orderkey as row_id, l_suppkey as label, 1.0::double as val from lineitem",
     "w4c": "select l_orderkey as row_id, l_suppkey as label, sum(l_quantity) as val from lineitem group by all",
@@ -45,7 +45,10 @@ def with_pairs(name: str, body: str) -> str:
     return f"with {matrix(name)}, {PAIRS} {body}"
 
 
-def pair_kept(gamma: float, seed: int) -> str:
+def pair_kept(gamma: float | str, seed: int) -> str:
+    """gamma: a number, or SQL of one."""
+    if isinstance(gamma, str):
+        return f"(ni * nj <= {gamma} or {draw(seed, 'row_id', 'i', 'j')} < {gamma} / (ni * nj))"
     return f"(ni * nj <= {real(gamma)} or {draw(seed, 'row_id', 'i', 'j')} < {real(gamma)} / (ni * nj))"
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import shutil
 import tempfile
 import uuid
@@ -24,7 +25,9 @@ def _folder(spark: SparkSession) -> str:
         return f"{shared.rstrip('/')}/streams/{uuid.uuid4().hex}"
     if not spark.sparkContext.master.startswith("local"):
         raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    return tempfile.mkdtemp(prefix="tallgram-stream-")
+    folder = tempfile.mkdtemp(prefix="tallgram-stream-")
+    atexit.register(shutil.rmtree, folder, True)
+    return folder
 
 
 def _source(spark: SparkSession, d: str) -> DataFrame:
@@ -33,14 +36,21 @@ def _source(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _finished(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Rows of the stream after all input, from a memory sink (results here are small windows)."""
-    spark, name = stream.sparkSession, f"s{uuid.uuid4().hex}"
-    folder = _folder(spark)
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
-    run.awaitTermination()
-    if folder.startswith("/tmp"):
-        shutil.rmtree(folder, ignore_errors=True)
-    return spark.table(name)
+    """Rows of the stream after all input: micro-batches are written to the shared folder, each in a folder of its own.
+
+    A batch that runs again replaces what it left; in complete mode the last batch is the result.
+    """
+    spark, folder = stream.sparkSession, _folder(stream.sparkSession)
+    spark.createDataFrame([], stream.schema).write.parquet(f"{folder}/out/batch=-1")
+    last = [-1]
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={batch_id}")
+        last[0] = batch_id
+
+    stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    path = f"{folder}/out/batch={last[0]}" if mode == "complete" else f"{folder}/out/*"
+    return spark.read.schema(stream.schema).parquet(path)
 
 
 @query("stream_tumbling", "select date_trunc('day', ts)::timestamp as day, count(*) as n from events group by 1")
@@ -109,3 +119,24 @@ def _incremental(s: SparkSession, m: DataFrame, gamma: float) -> DataFrame:
     rows = s.readStream.schema(ROW_FORM).option("maxFilesPerTrigger", 2).parquet(f"{folder}/rows")
     incremental.start_incremental_gram(rows, column_norms(m), gamma, 7, f"{folder}/gram", f"{folder}/checkpoint").awaitTermination()
     return incremental.current_gram(s, f"{folder}/gram")
+
+
+@query("stream_update_counts", "select event_type, count(*) as n from events group by event_type")
+def stream_update_counts(s, d):
+    """Update mode: each batch puts out the counts that changed; the largest of each type is the last."""
+    counts = _source(s, d).groupBy("event_type").agg(F.count("*").alias("n"))
+    return _finished(counts, "update").groupBy("event_type").agg(F.max("n").alias("n"))
+
+
+@query("stream_restarted_gram", sql.with_pairs("w4", "select i, j, sum(x * y) as dot, count(*) as n from q group by i, j"))
+def stream_restarted_gram(s, d):
+    """Half of the rows, a stop, the other half: the second run goes on from the first one's checkpoint."""
+    from tallgram.operators.matrix import ROW_FORM
+
+    m, folder = workloads.matrix(s, d, "w4"), _folder(s)
+    norms = column_norms(m)
+    for half in (0, 1):
+        m.where(F.pmod("row_id", F.lit(2)) == half).write.mode("append").parquet(f"{folder}/rows")
+        rows = s.readStream.schema(ROW_FORM).parquet(f"{folder}/rows")
+        incremental.start_incremental_gram(rows, norms, 1e9, 7, f"{folder}/gram", f"{folder}/checkpoint").awaitTermination()
+    return incremental.current_gram(s, f"{folder}/gram")

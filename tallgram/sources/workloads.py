@@ -10,8 +10,6 @@ from pyspark.sql import functions as F
 from tallgram.operators.matrix import dense_rows, encode_columns, min_support, to_row_form
 from tallgram.sources.tables import load_table
 
-EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
-
 
 def _one():
     return F.lit(1.0).alias("val")
@@ -21,8 +19,8 @@ def users_by_hour(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Similar users: a row for each hour and event type, a column for each user."""
     e = load_table(spark, sf_dir, "events")
     hour = F.expr("cast((unix_micros(cast(ts as timestamp)) div 3600000000) as bigint)")
-    kind = F.array_position(F.array(*[F.lit(t) for t in EVENT_TYPES]), F.col("event_type"))
-    return e.select((hour * 10 + kind).alias("row_id"), F.col("user_id").alias("label")).distinct().select("row_id", "label", _one())
+    kind = F.conv(F.substring(F.md5(F.coalesce("event_type", F.lit("")).cast("binary")), 1, 8), 16, 10).cast("long")  # any type has a number of its own
+    return e.select((F.shiftleft(hour, 32) + kind).alias("row_id"), F.col("user_id").alias("label")).distinct().select("row_id", "label", _one())
 
 
 def customers_by_part(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -39,7 +37,7 @@ def words_of(df: DataFrame, row_id, text: str = "text") -> DataFrame:
 
 def words_by_turn(spark: SparkSession, sf_dir: str, support: int = 20) -> DataFrame:
     """Similar words: a row for each conversation turn, a column for each word of ``support`` turns or more."""
-    turns = load_table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text")
+    turns = load_table(spark, sf_dir, "conversations").select((F.shiftleft("conv_id", 24) + F.col("turn")).alias("id"), "text")
     return min_support(words_of(turns, F.col("id")), support)
 
 
@@ -48,11 +46,16 @@ def words_by_document(spark: SparkSession, sf_dir: str, support: int = 20) -> Da
     return min_support(words_of(load_table(spark, sf_dir, "documents").select("doc_id", "text"), F.col("doc_id")), support)
 
 
+def user_day(user: str, ts: str):
+    """Row of a user's day: the day, counted from 1970, in the low 20 bits."""
+    return F.shiftleft(F.col(user), 20) + F.unix_date(F.to_date(ts))
+
+
 def props_by_user_day(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The daily job: a row for each user and day, a column for each key in the event's props."""
     e = load_table(spark, sf_dir, "events")
     label = F.get_json_object("props", "$.k").cast("int")
-    return e.select((F.col("user_id") * 100 + F.dayofmonth("ts")).alias("row_id"), label.alias("label")).where("label is not null").distinct().select("row_id", "label", _one())
+    return e.select(user_day("user_id", "ts").alias("row_id"), label.alias("label")).where("label is not null").distinct().select("row_id", "label", _one())
 
 
 def brands_by_order(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -85,6 +88,16 @@ LABELLED: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 
+def documents_by_toxicity(spark: SparkSession, sf_dir: str, toxic: int) -> DataFrame:
+    """Words of the documents that carry one label only, those of ``support`` such documents or more."""
+    labels = load_table(spark, sf_dir, "labels").where(F.col("toxic") == toxic).select("doc_id").distinct()
+    docs = load_table(spark, sf_dir, "documents").select("doc_id", "text").join(labels, "doc_id", "left_semi")
+    return min_support(words_of(docs, F.col("doc_id")), 10)
+
+
+LABELLED["w10"] = lambda s, d: documents_by_toxicity(s, d, 1)
+
+
 def matrix(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Row form of a workload, columns numbered by label order. w5: embeddings (dense, signed)."""
     if name == "w5":
@@ -105,7 +118,7 @@ def regression(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = load_table(spark, sf_dir, "lineitem")
     values = F.array("l_quantity", "l_discount", "l_tax", F.lit(1.0))
     entry = F.transform(values, lambda x, i: F.struct(i.cast("int").alias("col"), x.alias("val")))
-    return lines.select((F.col("l_orderkey") * 10 + F.col("l_linenumber")).alias("row_id"), F.filter(entry, lambda e: e["val"] != 0).alias("entries"), F.col("l_extendedprice").alias("y"))
+    return lines.select((F.shiftleft("l_orderkey", 16) + F.col("l_linenumber")).alias("row_id"), F.filter(entry, lambda e: e["val"] != 0).alias("entries"), F.col("l_extendedprice").alias("y"))
 
 
 def block_matrix(spark: SparkSession, n: int, row_max: int) -> DataFrame:

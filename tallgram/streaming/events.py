@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallgram.sources.tables import SCHEMAS
+from tallgram.sources.workloads import user_day
 
 
 def stream_events(spark: SparkSession, path: str, files_per_trigger: int | None = None) -> DataFrame:
@@ -65,7 +66,7 @@ def assemble_rows(events: DataFrame) -> DataFrame:
 
     State is the set of keys of an open row; a timer on event time closes it.
     """
-    keyed = events.select((F.col("user_id") * 100 + F.dayofmonth("ts")).alias("row_id"), "ts", F.get_json_object("props", "$.k").cast("int").alias("label"), (F.unix_millis(F.date_trunc("day", "ts")) + F.lit(86_400_000)).alias("closes"))
+    keyed = events.select(user_day("user_id", "ts").alias("row_id"), "ts", F.get_json_object("props", "$.k").cast("int").alias("label"), (F.unix_millis(F.date_trunc("day", "ts")) + F.lit(86_400_000)).alias("closes"))
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:

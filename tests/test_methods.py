@@ -189,11 +189,15 @@ def test_norm_compatible_pairs(spark):
 def test_planner():
     assert planner.gamma_for_spectral(100, 0.1, 0.7) == pytest.approx(4 * 0.49 * 100 / 0.01)
     a = planner.alpha_for(0.5, 0.1, 1000)
-    assert max(planner.over_tail(a, 0.5), planner.under_tail(a, 0.5)) <= 0.1 / 1000 * (1 + 1e-9)
+    assert planner.over_tail(a, 0.5) + planner.under_tail(a, 0.5) <= 0.1 / 1000 * (1 + 1e-9)
     assert planner.over_tail(math.log(100), 0.5) == pytest.approx(0.61, abs=0.01) and planner.under_tail(math.log(100), 0.5) == pytest.approx(0.56, abs=0.01)
-    profile = {"n": 100, "row_max": 13, "h": 1.0, "pairs": 10**12, "smallest": 1.0}
+    profile = {"n": 100, "row_max": 13, "h": 1.0, "pairs": 10**12, "smallest": 1.0, "most": 1.0}
     assert planner.plan(profile, "spectral", eps=0.5).method == "pair"
-    assert planner.plan(profile, "similar", s=0.3).method == "thinned"
+    assert planner.plan(profile, "similar", s=0.3).method == "pair"
+    one = planner.plan(profile, "similar", s=0.3)
+    assert planner.plan(profile | {"most": 10.0}, "similar", s=0.3, method="pair").gamma == pytest.approx(100 * one.gamma)
+    assert planner.plan(profile, "similar", s=0.3, method="thinned").gamma == pytest.approx(one.gamma / 0.3)
+    assert "0.608" in planner.plan(profile | {"n": 100}, "similar", s=0.3, method="pair", alpha="log_n").guarantee
     assert planner.plan(profile | {"pairs": 10}, "similar", s=0.3).method == "exact"
     with pytest.raises(ValueError):
         planner.plan(profile, "spectral", eps=0.5, method="staged")
@@ -329,3 +333,105 @@ def test_stream_late_rows_are_dropped(spark, tmp_path):
     q.processAllAvailable()
     q.stop()
     assert {str(r["day"])[:10]: r["n"] for r in spark.table("late").collect()}["2024-01-01"] == 2
+
+
+def test_promises_hold_on_unscaled_entries(spark):
+    """Pairs over s are within 1 +- delta, all at once, under nearly every seed: pair method and raised thinned budget."""
+    m = workloads.matrix(spark, SMALL, "w4c")
+    norms, seeds, s = column_norms(m), list(range(10)), 0.1
+    exact = gram.exact_cosines(m, norms)
+    profile = matrix.profile(m).first().asDict()
+    assert profile["most"] > 10
+    for method in ("pair", "staged", "thinned"):
+        p = planner.plan(profile, "similar", s=s, method=method, fail=0.1)
+        cells = accuracy.grid(sampling.repeated_estimates(m, method, p.gamma, seeds, norms), exact, seeds).where(F.col("exact") >= s)
+        off = cells.where(F.abs(F.col("cos") - F.col("exact")) > 0.5 * F.col("exact")).select("seed").distinct().count()
+        assert cells.count() > 0 and off <= 3
+
+
+def test_effective_budget_of_pairs_that_qualify(spark):
+    m = workloads.matrix(spark, SMALL, "w2b")
+    norms = {r["col"]: r["norm"] for r in column_norms(m).collect()}
+    s, alpha = 0.3, 20.0
+    gamma = planner.gamma_for_similarity(s, alpha, "thinned", 1.0)
+    for r in gram.exact_cosines(m).where(F.col("cos") >= s).collect():
+        a, b = norms[r["i"]], norms[r["j"]]
+        acts = planner.effective_gamma(gamma, a, b, "thinned")
+        assert acts >= alpha / s * (1 - 1e-9) or acts >= a * b * (1 - 1e-9)  # enough, or every product is kept
+
+
+def test_negative_entries_are_refused(spark):
+    m = make(spark, [(0, [(0, 1.0), (1, -1.0)]), (1, [(0, 1.0), (1, 1.0)])])
+    with pytest.raises(ValueError):
+        similarity.similar_columns(m, 0.3)
+
+
+def test_building_a_query_starts_one_job(spark):
+    m = workloads.matrix(spark, SMALL, "w4")
+    tracker, group = spark.sparkContext.statusTracker(), "one-job"
+    spark.sparkContext.setJobGroup(group, group)
+    try:
+        norms = column_norms(m)
+        for method in ("pair", "staged", "thinned"):
+            sampling.estimate(m, method, 5.0, 1, norms)
+        sampling.repeated_estimates(m, "pair", 5.0, [1, 2, 3], norms)
+        jobs = len(tracker.getJobIdsForGroup(group))
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert 1 <= jobs <= 6  # stages that AQE runs on their own count as jobs: one action
+
+
+def test_seeds_are_read_in_one_scan(spark, tmp_path):
+    path = str(tmp_path / "rows")
+    workloads.matrix(spark, SMALL, "w4").write.parquet(path)
+    m = spark.read.parquet(path)
+    norms = spark.createDataFrame(column_norms(m).toArrow())
+    several = sampling.repeated_estimates(m, "pair", 5.0, [1, 2, 3], norms)
+    assert several._jdf.queryExecution().executedPlan().toString().count("FileScan") == 1
+    for seed in (1, 2, 3):
+        one = table(sampling.estimate(m, "pair", 5.0, seed, norms), "i", "j")
+        got = table(several.where(F.col("seed") == seed), "i", "j")
+        assert one.keys() == got.keys() and all(abs(one[k]["cos"] - got[k]["cos"]) < 1e-9 for k in one)
+
+
+def test_heavy_rows_in_pieces_give_the_same(spark):
+    m = workloads.matrix(spark, SMALL, "w2b")
+    norms, pieces = column_norms(m), matrix.split_heavy(m, 5)
+    assert pieces.count() > m.count()
+    assert {tuple(r) for r in gram.exact_gram(pieces).collect()} == {tuple(r) for r in gram.exact_gram(m).collect()}
+    for method in ("pair", "staged"):
+        a, b = (table(sampling.estimate(x, method, 4.0, 3, norms), "i", "j") for x in (m, pieces))
+        assert a.keys() == b.keys() and all(abs(a[k]["cos"] - b[k]["cos"]) < 1e-9 for k in a)
+
+
+def test_library_second_opinion(spark):
+    """The public library's own similarity and factorisation agree on a workload."""
+    from pyspark.mllib.linalg import Vectors
+    from pyspark.mllib.linalg.distributed import RowMatrix
+
+    m = workloads.matrix(spark, SMALL, "w4")
+    n = 25
+    other = RowMatrix(m.rdd.map(lambda r: Vectors.sparse(n, [(e["col"], e["val"]) for e in r["entries"]])))
+    cosines = {(int(e.i), int(e.j)): e.value for e in other.columnSimilarities().entries.collect()}
+    mine = table(gram.exact_cosines(m), "i", "j")
+    assert cosines.keys() == mine.keys() and all(abs(cosines[k] - mine[k]["cos"]) < 1e-9 for k in mine)
+    norms = column_norms(m)
+    upper = gram.gram_from_cosines(gram.exact_cosines(m, norms), norms)
+    sigma = [r["sigma"] for r in spectral.spectral_factors(upper, n)[0].orderBy("rank").collect()]
+    assert np.allclose(other.computeSVD(n).s.toArray(), sigma[: len(other.computeSVD(n).s.toArray())], rtol=1e-6)
+    a = np.zeros((m.count(), n))
+    for k, r in enumerate(m.collect()):
+        for e in r["entries"]:
+            a[k, e["col"]] = e["val"]
+    assert np.allclose(np.linalg.svd(a, compute_uv=False), sigma, rtol=1e-6)
+
+
+def test_cosine_error_and_bytes(spark):
+    m = workloads.matrix(spark, SMALL, "w4")
+    norms = column_norms(m)
+    exact = spectral.dense(gram.exact_cosines(m, norms), 25, "cos")
+    few, many = (accuracy.cosine_error(spectral.dense(sampling.sampled_cosines(m, g, 1, norms), 25, "cos"), exact) for g in (2.0, 200.0))
+    assert many < few
+    records, size = cost.shuffled(sampling.sampled_cosines(m, 2.0, 1, norms))
+    whole, whole_size = cost.shuffled(gram.exact_gram(m, combine=False))
+    assert 0 < records < whole and 0 < size < whole_size and whole == cost.emissions(m, "exact").first()["emissions"]
