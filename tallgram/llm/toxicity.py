@@ -14,8 +14,10 @@ only copies of one text share is no lexicon entry. Exception phrases are learned
 well: pairs of neighbouring words of which one is an entry, but which clean rows use
 at least as often as toxic ones.
 
-The labelled texts are read twice, once to count and once to find where entries
-match; from then on only the matches are looked at. Defined results: null and empty
+Each labelled text is counted once, toxic ones first: clean ones then only count
+entries that pass a filter of ``FILTER_BITS`` bits made of the toxic ones' entries (a
+false positive is counted too and drops out of the sums). Then all are read to find
+where entries match; from there on only the matches are looked at. Defined results: null and empty
 texts have no match and get the score of no match; without toxic and clean labels no
 entry is known, and every text gets that score; equal texts get equal scores.
 Repeated label rows of one document count once, toxic if any says so.
@@ -51,6 +53,12 @@ PHRASE_ROWS, PHRASE_WEIGHT = 3, 0.0
 LABELLED_ROWS = 1_000_000
 #: Entries that a worker counts before it puts the counts out.
 COUNTED = 500_000
+#: Words whose entries a worker remembers.
+REMEMBERED = 100_000
+#: Size of the filter of entries; a power of two, whatever the size of the tables.
+FILTER_BITS = 1 << 23
+#: Characters that are folded at once; bounds the copies of a very long text.
+FOLDED = 1 << 20
 
 # fixed values: look-alike letters of other scripts, and signs that stand for letters
 LOOKALIKES = {"а": "a", "е": "e", "о": "o", "р": "p", "с": "c", "х": "x", "у": "y", "і": "i", "ѕ": "s", "ј": "j", "һ": "h", "ԁ": "d", "ԛ": "q", "ԝ": "w", "α": "a", "ο": "o", "ι": "i", "ν": "v", "κ": "k", "τ": "t", "ρ": "p", "в": "b", "н": "h", "м": "m", "т": "t", "к": "k", "ɡ": "g", "ⅼ": "l", "ı": "i", "ł": "l", "ø": "o"}
@@ -58,9 +66,18 @@ SIGNS = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "
 
 _FULL_WIDTH = {chr(0xFF01 + i): chr(0x21 + i) for i in range(94)}
 _FOLD = str.maketrans(_FULL_WIDTH | LOOKALIKES)
+_FOLD_CODES = np.arange(0x110000, dtype="<u4")
+_FOLD_CODES[list(_FOLD)] = [ord(c) for c in _FOLD.values()]
 _WORD = re.compile(r"[^\W_]+")
 _SIGNED = re.compile(r"(?<=[a-z])[0-9@$!|€+]+(?=[a-z])|(?<![^\W_])[0-9@$|€+]+(?=[a-z])")
 _SIGN_TABLE = str.maketrans(SIGNS)
+_BREAKS = {i: " " for i in range(128) if not chr(i).isalnum()}
+
+
+def _letters(text: str) -> str:
+    """Look-alike letters replaced, one by one."""
+    codes = (np.frombuffer(text[i : i + FOLDED].encode("utf-32-le", "surrogatepass"), dtype="<u4") for i in range(0, len(text), FOLDED))
+    return "".join(_FOLD_CODES[c].tobytes().decode("utf-32-le", "surrogatepass") for c in codes)
 
 
 def fold(text: str | None) -> list[str]:
@@ -69,10 +86,10 @@ def fold(text: str | None) -> list[str]:
         return []
     text = text.lower()
     if not text.isascii():
-        text = text.translate(_FOLD)
+        text = _letters(text)
     if any(c in text for c in "0134578@$|€+!"):
         text = _SIGNED.sub(lambda m: m[0].translate(_SIGN_TABLE), text)
-    return _WORD.findall(text)
+    return text.translate(_BREAKS).split() if text.isascii() else _WORD.findall(text)
 
 
 def normaliser(n_words: int) -> float:
@@ -156,45 +173,77 @@ def _labelled(docs: DataFrame, labels: DataFrame, labelled_rows: int) -> DataFra
         marks = marks.where(draw < labelled_rows / n)
     texts = docs.select("doc_id", "text")
     marked = texts.join(F.broadcast(marks), "doc_id").select("doc_id", F.xxhash64("text").alias("_hash"), (F.col("_toxic") > 0).alias("toxic"))
-    one = marked.groupBy("_hash").agg(F.min("doc_id").alias("doc_id"), F.max("toxic").alias("toxic"))
+    one = stored(marked.groupBy("_hash").agg(F.min("doc_id").alias("doc_id"), F.max("toxic").alias("toxic")), "labelled")
     # no more rows than marks, so bounded like them
     return texts.join(F.broadcast(one), "doc_id").where(F.xxhash64("text") == F.col("_hash")).select("doc_id", "text", "toxic")
 
 
-def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of each entry by label; toxic ones with the neighbours of the entry's first place. The empty entry counts all rows."""
-    counts: Counter = Counter()
+class _Counts:
+    """Counts that an Arrow function puts out whenever they are many."""
+
+    def __init__(self) -> None:
+        self.of: Counter = Counter()
+
+    def out(self, toxic: bool) -> pa.RecordBatch:
+        entry, around = zip(*self.of, strict=True) if self.of else ((), ())
+        made = pa.RecordBatch.from_arrays([pa.array(entry, pa.string()), pa.array(around, pa.int64()), pa.array(self.of.values(), pa.int64())], names=["entry", "around", "toxic" if toxic else "clean"])
+        self.of.clear()
+        return made if toxic else made.select(["entry", "clean"])
 
-    def out() -> pa.RecordBatch:
-        entry, around, toxic = zip(*counts, strict=True) if counts else ((), (), ())
-        n = list(counts.values())
-        made = pa.RecordBatch.from_arrays(
-            [pa.array(entry, pa.string()), pa.array(around, pa.int64()), pa.array([k if t else 0 for k, t in zip(n, toxic, strict=True)], pa.int64()), pa.array([0 if t else k for k, t in zip(n, toxic, strict=True)], pa.int64())],
-            names=["entry", "around", "toxic", "clean"],
-        )
-        counts.clear()
-        return made
 
+def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of each entry, with the neighbours of the entry's first place. The empty entry counts all rows."""
+    counts = _Counts()
     for batch in blocks(batches):
-        for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
+        for text in batch.column("text").to_pylist():
             words = fold(text)
-            counts["", None, toxic] += 1
-            if not toxic:
-                seen: set[str] = set()
-                for word in set(words):
-                    seen.update(_entries(word))
-                counts.update((e, None, False) for e in seen)
-                continue
+            counts.of["", None] += 1
             first: dict[str, int] = {}
             for i in range(len(words) - 1, -1, -1):
                 for e in _entries(words[i]):
                     first[e] = i
             for e, i in first.items():
                 beside = ("" if not i else words[i - 1]) + " " + (words[i + 1] if i + 1 < len(words) else "")
-                counts[e, zlib.crc32(beside.encode()), True] += 1
-        if len(counts) > COUNTED:
-            yield out()
-    yield out()
+                counts.of[e, zlib.crc32(beside.encode())] += 1
+        if len(counts.of) > COUNTED:
+            yield counts.out(True)
+    yield counts.out(True)
+
+
+def _filter(entries: DataFrame) -> np.ndarray:
+    """FILTER_BITS bits, those of the entries' checksums set, as bytes; summed by Spark in words of 32 bits."""
+    at = F.crc32(F.col("entry").cast("binary")) % FILTER_BITS
+    words = entries.select(F.floor(at / 32).cast("int").alias("word"), F.pow(F.lit(2.0), at % 32).cast("long").alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("bits")).toArrow()
+    bits = np.zeros(FILTER_BITS // 32, dtype="<u4")
+    bits[words.column("word").to_numpy()] = words.column("bits").to_numpy().astype("<u4")
+    return bits.view(np.uint8)
+
+
+def _clean_counts(rows: DataFrame, entries: DataFrame) -> DataFrame:
+    """entry, clean: rows of each entry that passes the filter of the given entries. The empty entry counts all rows."""
+    shared = rows.sparkSession.sparkContext.broadcast(_filter(entries).tobytes())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits, known, counts = shared.value, {}, _Counts()
+        for batch in blocks(batches):
+            for text in batch.column("text").to_pylist():
+                seen: set[str] = set()
+                for word in set(fold(text)):
+                    passed = known.get(word)
+                    if passed is None:
+                        if len(known) >= REMEMBERED:
+                            known.clear()
+                        at = [(e, zlib.crc32(e.encode("utf-8", "surrogatepass")) % FILTER_BITS) for e in _entries(word)]
+                        passed = known[word] = tuple(e for e, k in at if bits[k >> 3] >> (k & 7) & 1)
+                    seen.update(passed)
+                counts.of["", None] += 1
+                for e in seen:
+                    counts.of[e, None] += 1
+            if len(counts.of) > COUNTED:
+                yield counts.out(False)
+        yield counts.out(False)
+
+    return rows.mapInArrow(run, "entry string, clean long").groupBy("entry").agg(F.sum("clean").alias("clean"))
 
 
 def _phrases(words: list[str], i: int) -> list[str]:
@@ -232,15 +281,18 @@ def _log_odds(toxic, clean, n_toxic: int, n_clean: int):
 def fit(docs: DataFrame, labels: DataFrame, least_rows: int = LEAST_ROWS, labelled_rows: int = LABELLED_ROWS) -> Lexicon:
     """Learn entries, exception phrases and curve from the labelled rows that are not held out, labelled_rows at most."""
     rows = _labelled(docs, labels, labelled_rows)
-    counted = rows.mapInArrow(_count, "entry string, around long, toxic long, clean long")
-    sums = stored(counted.groupBy("entry").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"), F.count_distinct("around").alias("around")).where((F.col("entry") == "") | (F.col("toxic") >= least_rows)), "entries")
+    counted = rows.where("toxic").mapInArrow(_count_toxic, "entry string, around long, toxic long")
+    of_toxic = counted.groupBy("entry").agg(F.sum("toxic").alias("toxic"), F.count_distinct("around").alias("around"))
+    of_toxic = stored(of_toxic.where((F.col("entry") == "") | (F.col("toxic") >= least_rows) & (F.col("around") >= LEAST_CONTEXTS)), "toxic_entries")
+    of_clean = _clean_counts(rows.where("not toxic"), of_toxic)
+    sums = stored(of_toxic.join(of_clean, "entry", "left").fillna(0, ["clean"]), "entries")
     whole = sums.where("entry = ''").first()
     if whole is None or not whole["toxic"] or not whole["clean"]:
         return Lexicon({})
     n_toxic, n_clean = whole["toxic"], whole["clean"]
     weight = _log_odds(F.col("toxic"), F.col("clean"), n_toxic, n_clean)
     # entries that are as telling as that are few: each has least_rows of the labelled rows and hardly a clean one
-    found = sums.where((F.col("entry") != "") & (F.col("around") >= LEAST_CONTEXTS)).withColumn("weight", weight).where(F.col("weight") >= LEAST_WEIGHT).select("entry", "toxic", "clean", "weight").toArrow()
+    found = sums.where("entry != ''").withColumn("weight", weight).where(F.col("weight") >= LEAST_WEIGHT).select("entry", "toxic", "clean", "weight").toArrow()
     weights, counts = {}, {}
     for r in sorted(found.to_pylist(), key=lambda r: r["entry"]):
         if evidence(r["toxic"], r["clean"], n_toxic, n_clean) >= LEAST_EVIDENCE:
