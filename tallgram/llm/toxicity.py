@@ -87,7 +87,7 @@ def fold(text: str | None) -> list[str]:
     text = text.lower()
     if not text.isascii():
         text = _letters(text)
-    if any(c in text for c in "0134578@$|€+!"):
+    if any(c in text for c in SIGNS):
         text = _SIGNED.sub(lambda m: m[0].translate(_SIGN_TABLE), text)
     return text.translate(_BREAKS).split() if text.isascii() else _WORD.findall(text)
 
@@ -178,36 +178,34 @@ def _labelled(docs: DataFrame, labels: DataFrame, labelled_rows: int) -> DataFra
     return texts.join(F.broadcast(one), "doc_id").where(F.xxhash64("text") == F.col("_hash")).select("doc_id", "text", "toxic")
 
 
-class _Counts:
-    """Counts that an Arrow function puts out whenever they are many."""
-
-    def __init__(self) -> None:
-        self.of: Counter = Counter()
-
-    def out(self, toxic: bool) -> pa.RecordBatch:
-        entry, around = zip(*self.of, strict=True) if self.of else ((), ())
-        made = pa.RecordBatch.from_arrays([pa.array(entry, pa.string()), pa.array(around, pa.int64()), pa.array(self.of.values(), pa.int64())], names=["entry", "around", "toxic" if toxic else "clean"])
-        self.of.clear()
-        return made if toxic else made.select(["entry", "clean"])
+def _put_out(counts: Counter, with_neighbours: bool) -> pa.RecordBatch:
+    """The counts as a batch; they begin anew."""
+    if with_neighbours:
+        entry, around = zip(*counts, strict=True) if counts else ((), ())
+        made = pa.RecordBatch.from_arrays([pa.array(entry, pa.string()), pa.array(around, pa.int64()), pa.array(counts.values(), pa.int64())], names=["entry", "around", "toxic"])
+    else:
+        made = pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.string()), pa.array(counts.values(), pa.int64())], names=["entry", "clean"])
+    counts.clear()
+    return made
 
 
 def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows of each entry, with the neighbours of the entry's first place. The empty entry counts all rows."""
-    counts = _Counts()
+    counts: Counter = Counter()
     for batch in blocks(batches):
         for text in batch.column("text").to_pylist():
             words = fold(text)
-            counts.of["", None] += 1
+            counts["", None] += 1
             first: dict[str, int] = {}
             for i in range(len(words) - 1, -1, -1):
                 for e in _entries(words[i]):
                     first[e] = i
             for e, i in first.items():
                 beside = ("" if not i else words[i - 1]) + " " + (words[i + 1] if i + 1 < len(words) else "")
-                counts.of[e, zlib.crc32(beside.encode())] += 1
-        if len(counts.of) > COUNTED:
-            yield counts.out(True)
-    yield counts.out(True)
+                counts[e, zlib.crc32(beside.encode())] += 1
+        if len(counts) > COUNTED:
+            yield _put_out(counts, True)
+    yield _put_out(counts, True)
 
 
 def _filter(entries: DataFrame) -> np.ndarray:
@@ -224,7 +222,7 @@ def _clean_counts(rows: DataFrame, entries: DataFrame) -> DataFrame:
     shared = rows.sparkSession.sparkContext.broadcast(_filter(entries).tobytes())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits, known, counts = shared.value, {}, _Counts()
+        bits, known, counts = shared.value, {}, Counter()
         for batch in blocks(batches):
             for text in batch.column("text").to_pylist():
                 seen: set[str] = set()
@@ -236,12 +234,11 @@ def _clean_counts(rows: DataFrame, entries: DataFrame) -> DataFrame:
                         at = [(e, zlib.crc32(e.encode("utf-8", "surrogatepass")) % FILTER_BITS) for e in _entries(word)]
                         passed = known[word] = tuple(e for e, k in at if bits[k >> 3] >> (k & 7) & 1)
                     seen.update(passed)
-                counts.of["", None] += 1
-                for e in seen:
-                    counts.of[e, None] += 1
-            if len(counts.of) > COUNTED:
-                yield counts.out(False)
-        yield counts.out(False)
+                counts[""] += 1
+                counts.update(seen)
+            if len(counts) > COUNTED:
+                yield _put_out(counts, False)
+        yield _put_out(counts, False)
 
     return rows.mapInArrow(run, "entry string, clean long").groupBy("entry").agg(F.sum("clean").alias("clean"))
 

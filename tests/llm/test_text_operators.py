@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+import random
 import re
 import struct
 import zlib
@@ -277,7 +278,6 @@ def plain_places(lexicon, words):
 
 
 def test_matches_equal_a_plain_search(spark):
-    import random
 
     random.seed(4)
     texts = [r["text"] for r in table(spark, SMALL, "documents").limit(150).collect()] + ["", None, "a", "the the the"]
@@ -293,6 +293,28 @@ def test_matches_equal_a_plain_search(spark):
         assert math.isclose(lexicon.score(t), score, rel_tol=1e-9)
 
 
+def test_folding_equals_plain_replacement(monkeypatch):
+    monkeypatch.setattr(toxicity, "FOLDED", 7)
+    letters = [*toxicity.LOOKALIKES, *toxicity.SIGNS, *"abZ _-.\t\x1c\u00a0é中😀İß９Ａ"]
+    draw = random.Random(5)
+    for text in ["", "_", "a_b", *("".join(draw.choices(letters, k=draw.randint(1, 40))) for _ in range(3000)), *("".join(draw.choices("a1b! _\x1c0", k=12)) for _ in range(1000))]:
+        plain = "".join(chr(ord(c) - 0xFEE0) if "！" <= c <= "～" else toxicity.LOOKALIKES.get(c, c) for c in text.lower())
+        plain = toxicity._SIGNED.sub(lambda m: "".join(toxicity.SIGNS.get(c, c) for c in m[0]), plain)
+        assert toxicity.fold(text) == toxicity._WORD.findall(plain), text
+
+
+def test_clean_counts_equal_plain_ones(spark, monkeypatch):
+    """Entries that toxic rows have are counted in full, others at most by a chance hit of the filter."""
+    monkeypatch.setattr(toxicity, "COUNTED", 50)
+    draw = random.Random(6)
+    texts = [" ".join(draw.choices(["scum", "scummy", "house", "garden", "été", "дом", "x"], k=8)) for _ in range(60)]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    wanted = ["scum ", "scu", "garden ", "été ", "дом ", "none "]
+    got = {r["entry"]: r["clean"] for r in toxicity._clean_counts(rows, spark.createDataFrame([(e,) for e in wanted], "entry string")).collect()}
+    want = {e: sum(any((w + " ").startswith(e) and (e.endswith(" ") or w != e) for w in toxicity.fold(t)) for t in texts) for e in wanted[:-1]}
+    assert {e: got.get(e, 0) for e in want} == want and got[""] == 60 and "none " not in got and len(got) <= len(want) + 2
+
+
 def test_exception_phrases_are_learned(spark):
     rows, marks = [], []
     for i in range(600):
