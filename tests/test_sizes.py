@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pytest
 
-from tallgram.operators import spectral
+from tallgram.operators import accuracy, spectral
 from tallgram.queries import all_queries
 
 QUERIES, ORACLES = all_queries()
@@ -19,3 +20,24 @@ def test_power_sums_keep_the_sign_of_negative_eigenvalues(spark):
 def test_planned_spectrum_decomposes_nothing(spark, monkeypatch):
     monkeypatch.setattr(spectral, "DENSE_COLUMNS", 1)
     assert QUERIES["planned_spectrum_w4b"](spark, "/root/testdata/sf0.001").first()["method"] == "pair"
+
+
+@pytest.mark.parametrize("local_bytes", [1 << 20, 0])
+def test_sparse_norms_are_those_of_dense_matrices(spark, monkeypatch, local_bytes):
+    rng, n = np.random.default_rng(3), 60
+    i, j = np.nonzero(np.triu(rng.random((n, n)) < 0.3))
+    a, b = rng.standard_normal((2, len(i)))
+    both = spark.createDataFrame([(int(x), int(y), float(p), float(q)) for x, y, p, q in zip(i, j, a, b, strict=True)], "i int, j int, a double, b double")
+    monkeypatch.setattr(spectral, "LOCAL_BYTES", local_bytes)
+    want = [spectral.spectral_norm(spectral.dense(both, n, c)) for c in ("a", "b")]
+    assert spectral.sparse_norms(both, n, ["a", "b"]) == pytest.approx(want, rel=1e-9)
+    assert spectral.sparse_norms(both.where("false"), n, ["a", "b"]) == [0.0, 0.0]
+
+
+def test_success_rate_beyond_dense_columns(spark, monkeypatch):
+    small = "/root/testdata/sf0.001"
+    want = QUERIES["success_rate_w4b"](spark, small).first()
+    monkeypatch.setattr(accuracy, "DENSE_COLUMNS", 1)
+    monkeypatch.setattr(spectral, "DENSE_COLUMNS", 1)
+    got = QUERIES["success_rate_w4b"](spark, small).first()
+    assert got[:2] == want[:2] and got[2:] == pytest.approx(want[2:], rel=1e-9)
