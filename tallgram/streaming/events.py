@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -58,30 +55,11 @@ def with_norms(events: DataFrame, norms: DataFrame) -> DataFrame:
     return events.withColumn("label", label).join(F.broadcast(norms.select("label", "norm")), "label")
 
 
-_ROWS = "row_id long, labels array<int>"
-
-
 def assemble_rows(events: DataFrame) -> DataFrame:
-    """(row_id, labels): the distinct keys of each user and day as a matrix row, put out when the day is over.
+    """(row_id, labels): the distinct keys of each user and day (of UTC) as a matrix row, put out when the day is over.
 
-    State is the set of keys of an open row; a timer on event time closes it.
+    A day's window is the state of an open row; the watermark closes it.
     """
-    keyed = events.select(user_day("user_id", "ts").alias("row_id"), "ts", F.get_json_object("props", "$.k").cast("int").alias("label"), (F.unix_millis(F.date_trunc("day", "ts")) + F.lit(86_400_000)).alias("closes"))
-
-    def step(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            (labels,) = state.get
-            state.remove()
-            yield pd.DataFrame({"row_id": [key[0]], "labels": [sorted(labels)]})
-            return
-        have, closes = set(state.get[0]) if state.exists else set(), 0
-        for part in batches:
-            have.update(int(x) for x in part["label"].dropna())
-            closes = max(closes, int(part["closes"].max()))
-        state.update((sorted(have),))
-        if closes > state.getCurrentWatermarkMs():
-            state.setTimeoutTimestamp(closes)
-        else:
-            state.setTimeoutTimestamp(state.getCurrentWatermarkMs() + 1)
-
-    return keyed.groupBy("row_id").applyInPandasWithState(step, _ROWS, "labels array<int>", "append", "EventTimeTimeout")
+    keyed = events.select("user_id", "ts", F.get_json_object("props", "$.k").cast("int").alias("label"))
+    rows = keyed.groupBy("user_id", F.window("ts", "1 day").alias("w")).agg(F.sort_array(F.collect_set("label")).alias("labels"))
+    return rows.select((F.shiftleft("user_id", 20) + F.expr("unix_micros(w.start) div 86400000000")).alias("row_id"), "labels")

@@ -41,3 +41,19 @@ def test_success_rate_beyond_dense_columns(spark, monkeypatch):
     monkeypatch.setattr(spectral, "DENSE_COLUMNS", 1)
     got = QUERIES["success_rate_w4b"](spark, small).first()
     assert got[:2] == want[:2] and got[2:] == pytest.approx(want[2:], rel=1e-9)
+
+
+def test_assembled_rows_are_those_of_the_batch_and_need_no_python_state(spark):
+    from pyspark.sql import functions as F
+
+    from tallgram.sources.tables import load_table
+    from tallgram.streaming import events as E
+
+    small = "/root/testdata/sf0.001"
+    end = load_table(spark, small, "events").agg(F.max("ts")).first()[0]
+    over = F.expr("cast(date_trunc('day', ts) as timestamp_ntz) + interval 1 day") <= F.lit(end) - F.expr("interval 1 hour")
+    by_day = load_table(spark, small, "events").where(over).groupBy(F.expr("shiftleft(user_id, 20) + unix_date(to_date(ts))").alias("row_id"))
+    want = by_day.agg(F.count_distinct(F.get_json_object("props", "$.k").cast("int")).alias("n"))
+    assert sorted(QUERIES["stream_assembled_rows"](spark, small).collect()) == sorted(want.collect())
+    plan = E.assemble_rows(E.watermarked(E.stream_events(spark, f"{small}/events.parquet*")))._jdf.queryExecution().analyzed().toString()
+    assert "Python" not in plan and "Pandas" not in plan
