@@ -57,3 +57,24 @@ def test_assembled_rows_are_those_of_the_batch_and_need_no_python_state(spark):
     assert sorted(QUERIES["stream_assembled_rows"](spark, small).collect()) == sorted(want.collect())
     plan = E.assemble_rows(E.watermarked(E.stream_events(spark, f"{small}/events.parquet*")))._jdf.queryExecution().analyzed().toString()
     assert "Python" not in plan and "Pandas" not in plan
+
+
+@pytest.mark.parametrize("name", ["block_source", "lower_bound_blocks"])
+def test_blocks_come_from_the_customers(spark, tmp_path, name):
+    """Keys with gaps, a repeat and a null, in a folder of several files."""
+    import duckdb
+    from compare import differences, rows_of
+
+    from tallgram.sources.tables import SCHEMAS
+
+    keys = [*range(25), 41, 59, 59, None]
+    rows = spark.createDataFrame([(k, "x", 1, 0.5, "y") for k in keys], SCHEMAS["customer"])
+    rows.repartition(3).write.parquet(str(tmp_path / "customer.parquet"))
+    for path in (tmp_path / "customer.parquet").glob("[._]*"):
+        path.unlink()
+    got = QUERIES[name](spark, str(tmp_path))
+    c = duckdb.connect()
+    c.execute(f"create view customer as select * from '{tmp_path}/customer.parquet/*.parquet'")
+    rel = c.execute(ORACLES[name])
+    assert rows_of(got.columns, got.collect()) == rows_of([x[0] for x in rel.description], rel.fetchall())
+    assert differences(spark, QUERIES[name], ORACLES[name], "/root/testdata/sf0.001") == ""
