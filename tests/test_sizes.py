@@ -22,10 +22,12 @@ def test_planned_spectrum_decomposes_nothing(spark, monkeypatch):
     assert QUERIES["planned_spectrum_w4b"](spark, "/root/testdata/sf0.001").first()["method"] == "pair"
 
 
-@pytest.mark.parametrize("local_bytes", [1 << 20, 0])
-def test_sparse_norms_are_those_of_dense_matrices(spark, monkeypatch, local_bytes):
+@pytest.mark.parametrize(("local_bytes", "block_columns", "parts"), [(1 << 20, 10, 1), (0, 10, 1), (0, 60, 1), (0, 20, 5), (0, 10, 5), (1 << 20, 35, 2)])
+def test_sparse_norms_are_those_of_dense_matrices(spark, monkeypatch, local_bytes, block_columns, parts):
     rng, n = np.random.default_rng(3), 60
-    i, j = np.nonzero(np.triu(rng.random((n, n)) < 0.3))
+    part = np.minimum(np.arange(n) * parts // 40, parts - 1)  # the last part is larger than the others
+    i, j = np.nonzero(np.triu(rng.random((n, n)) < 0.3) & (part[:, None] == part))
+    monkeypatch.setattr(spectral, "BLOCK_COLUMNS", block_columns)
     a, b = rng.standard_normal((2, len(i)))
     both = spark.createDataFrame([(int(x), int(y), float(p), float(q)) for x, y, p, q in zip(i, j, a, b, strict=True)], "i int, j int, a double, b double")
     monkeypatch.setattr(spectral, "LOCAL_BYTES", local_bytes)
@@ -38,6 +40,7 @@ def test_success_rate_beyond_dense_columns(spark, monkeypatch):
     small = "/root/testdata/sf0.001"
     want = QUERIES["success_rate_w4b"](spark, small).first()
     monkeypatch.setattr(accuracy, "DENSE_COLUMNS", 1)
+    monkeypatch.setattr(spectral, "BLOCK_COLUMNS", 5)
     monkeypatch.setattr(spectral, "DENSE_COLUMNS", 1)
     got = QUERIES["success_rate_w4b"](spark, small).first()
     assert got[:2] == want[:2] and got[2:] == pytest.approx(want[2:], rel=1e-9)
@@ -78,3 +81,12 @@ def test_blocks_come_from_the_customers(spark, tmp_path, name):
     rel = c.execute(ORACLES[name])
     assert rows_of(got.columns, got.collect()) == rows_of([x[0] for x in rel.description], rel.fetchall())
     assert differences(spark, QUERIES[name], ORACLES[name], "/root/testdata/sf0.001") == ""
+
+
+def test_saved_pairs_leave_one_file_a_folder(spark, tmp_path):
+    from tallgram.sources.files import load_pairs, save_pairs
+
+    pairs = spark.range(400).selectExpr("cast(id % 20 as int) as i", "cast(id as int) + 20 as j", "0.5 as cos").repartition(8)
+    save_pairs(pairs, str(tmp_path / "pairs"), 5)
+    assert [len(list(p.glob("*.parquet"))) for p in (tmp_path / "pairs").glob("i_block=*")] == [1] * 4
+    assert load_pairs(spark, str(tmp_path / "pairs"), 3, 7, 5).count() == 100
