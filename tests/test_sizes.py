@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from tallgram.operators import accuracy, spectral
+from tallgram.operators import accuracy, similarity, spectral
 from tallgram.queries import all_queries
 
 QUERIES, ORACLES = all_queries()
@@ -90,3 +90,21 @@ def test_saved_pairs_leave_one_file_a_folder(spark, tmp_path):
     save_pairs(pairs, str(tmp_path / "pairs"), 5)
     assert [len(list(p.glob("*.parquet"))) for p in (tmp_path / "pairs").glob("i_block=*")] == [1] * 4
     assert load_pairs(spark, str(tmp_path / "pairs"), 3, 7, 5).count() == 100
+
+
+def test_wanted_pairs_are_looked_up_and_made_once(spark):
+    rows = [(r, [(c, 1.0) for c in range(40) if (r * 7 + c) % 3]) for r in range(30)]
+    m = spark.createDataFrame(rows, "row_id long, entries array<struct<col:int,val:double>>")
+    made = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for batch in batches:
+            made.add(batch.num_rows)
+            yield batch
+
+    wanted = spark.createDataFrame([(i, j) for i in range(5) for j in range(5, 40)], "i int, j int").mapInArrow(counted, "i int, j int")
+    found = similarity.exact_of(m, wanted)
+    assert {(r["i"], r["j"]): r["dot"] for r in found.collect()} == {(i, j): float(n) for i in range(5) for j in range(5, 40) if (n := sum(c[0] == i for _, e in rows for c in e if (j, 1.0) in e))}
+    assert made.value == 175
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "array_contains" not in plan
