@@ -5,7 +5,8 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from tallgram.operators import accuracy, similarity, spectral
+from tallgram.operators import accuracy, gram, sampling, similarity, spectral, tiles
+from tallgram.operators.norms import column_norms
 from tallgram.queries import all_queries
 
 QUERIES, ORACLES = all_queries()
@@ -108,3 +109,48 @@ def test_wanted_pairs_are_looked_up_and_made_once(spark):
     assert made.value == 175
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan and "array_contains" not in plan
+
+
+def _plain(df):
+    return sorted(tuple(round(v, 9) if isinstance(v, float) else v for v in r) for r in df.collect())
+
+
+@pytest.fixture(scope="module")
+def odd_rows(spark):
+    """Row numbers of one to ten digits and a negative one, columns of one to three digits, values that cancel out."""
+    rng = np.random.default_rng(5)
+    rows = []
+    for r, row_id in enumerate([-3, 7, 10, 4321, 99999, 10**9 + 7, *range(200, 240)]):
+        cols = np.flatnonzero(rng.random(130) < 0.3)
+        rows.append((row_id, [(int(c), float(rng.integers(1, 4) * (-1) ** (r + c % 2 * (r // 2)))) for c in cols]))
+    return spark.createDataFrame([*rows, (5, [])], "row_id long, entries array<struct<col:int,val:double>>").persist()
+
+
+BOUNDS = [[0], [0, 9, 64, 120], [0, 40, 200]]
+
+
+def _exchanges(df) -> int:
+    return df._jdf.queryExecution().executedPlan().toString().count("Exchange ")
+
+
+@pytest.mark.parametrize("bounds", BOUNDS)
+def test_best_partners_by_tiles(spark, odd_rows, monkeypatch, bounds):
+    monkeypatch.setattr(tiles, "CELLS", 500)
+    cosines = gram.exact_cosines(odd_rows).selectExpr("i", "j", "round(cos, 2) as cos")  # two digits: many ties
+    assert _plain(tiles.top_k_similar(odd_rows, 3, 2, bounds)) == _plain(similarity.top_k_similar(cosines, 3))
+    assert tiles.top_k_similar(odd_rows.where("false"), 3, 2).count() == 0
+
+
+def test_similar_users_leave_few_rows_for_an_exchange(spark):
+    """The best of a column in each tile at most, not all pairs: these were on disk before."""
+    from tallgram.operators.cost import shuffled
+
+    top = QUERIES["topk_similar_w1"](spark, "/root/testdata/sf0.01")
+    assert shuffled(top)[0] <= 2 * 3 * 150
+
+
+def test_blocks_have_about_equal_entries(spark):
+    m = spark.createDataFrame([(r, [(c, 1.0) for c in range(r % 7, 1000, 7)]) for r in range(50)], "row_id long, entries array<struct<col:int,val:double>>")
+    assert tiles.blocks(m) == [0]
+    bounds = tiles.blocks(m, 4)
+    assert len(bounds) == 4 and all(190 <= b - a <= 330 for a, b in zip(bounds, [*bounds[1:], 1000], strict=True))
