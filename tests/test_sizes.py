@@ -154,3 +154,29 @@ def test_blocks_have_about_equal_entries(spark):
     assert tiles.blocks(m) == [0]
     bounds = tiles.blocks(m, 4)
     assert len(bounds) == 4 and all(190 <= b - a <= 330 for a, b in zip(bounds, [*bounds[1:], 1000], strict=True))
+
+
+@pytest.mark.parametrize("bounds", BOUNDS)
+def test_exact_cosines_by_tiles(spark, odd_rows, monkeypatch, bounds):
+    monkeypatch.setattr(tiles, "CELLS", 500)
+    monkeypatch.setattr(tiles, "CHUNK", 200)
+    got = tiles.exact_cosines(odd_rows, bounds=bounds)
+    assert _plain(got) == _plain(gram.exact_cosines(odd_rows))
+    assert got.where("dot = 0").count() > 0  # pairs whose products cancel out are kept
+
+
+def test_cosines_of_users_exchange_no_pairs(spark):
+    """Records of all exchanges: entries on their way to rows and tiles; before, 7,788 pairs and more."""
+    from tallgram.operators.cost import shuffled
+
+    found = QUERIES["exact_cosines_w1"](spark, "/root/testdata/sf0.01")
+    assert shuffled(found)[0] < 100 and found.count() == 7788
+
+
+def test_rounding_is_that_of_sql():
+    import duckdb
+
+    values = [0.0078125, -0.0234375, 0.0000005, 0.1234565, 2 / 3, 1e-9, 12345678.0000005, 1.0, 0.0]
+    want = duckdb.execute("select round(unnest(?::double[]), 6)", [values]).fetchall()
+    assert tiles.half_up(np.array(values), 6).tolist() == [x for (x,) in want]
+    assert tiles.half_up(np.array(values), None).tolist() == values
