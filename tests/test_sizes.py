@@ -180,3 +180,43 @@ def test_rounding_is_that_of_sql():
     want = duckdb.execute("select round(unnest(?::double[]), 6)", [values]).fetchall()
     assert tiles.half_up(np.array(values), 6).tolist() == [x for (x,) in want]
     assert tiles.half_up(np.array(values), None).tolist() == values
+
+
+@pytest.mark.parametrize("bounds", BOUNDS)
+@pytest.mark.parametrize("gamma", [3.0, 60.0, np.inf])
+def test_samples_by_tiles_are_those_of_the_draws(spark, odd_rows, monkeypatch, bounds, gamma):
+    """Rows and columns of different lengths in digits, chunks that end inside a row."""
+    monkeypatch.setattr(tiles, "CELLS", 500)
+    monkeypatch.setattr(tiles, "CHUNK", 300)
+    monkeypatch.setattr(tiles, "DRAWS", 70)
+    assert _plain(tiles.sampled_cosines(odd_rows, gamma, 12345, bounds=bounds)) == _plain(sampling.sampled_cosines(odd_rows, gamma, 12345, draw="md5"))
+
+
+def test_samples_of_users_exchange_no_pairs(spark):
+    """Records of all exchanges; before, 2,241 pairs and more."""
+    from tallgram.operators.cost import shuffled
+
+    found = QUERIES["sampled_w1"](spark, "/root/testdata/sf0.01")
+    assert shuffled(found)[0] < 100 and found.count() == 2241
+
+
+def test_first_words_of_digests():
+    import hashlib
+
+    texts = [f"7|{r}|{i}|4" for r in (0, -5, 10**17) for i in (3, 44)]
+    for text in texts:
+        block = (text.encode() + b"\x80").ljust(56, b"\0") + (8 * len(text)).to_bytes(8, "little")
+        words = [np.array([x], np.uint32) for x in np.frombuffer(block, "<u4")]
+        assert int(tiles._first_words(words, 1)[0]) == int(hashlib.md5(text.encode()).hexdigest()[:8], 16)
+
+
+def test_draws_that_the_first_word_leaves_open(spark):
+    """A bound just at the draw: the rest of the digits decides."""
+    import hashlib
+
+    ones = lambda cols: tiles._Side(0, False, [np.array([len(cols)], np.uint32).tobytes()], [np.array(cols, np.uint32).tobytes()], [b""])
+    side = ones([2, 5])
+    draws = tiles._Draws(tiles._Tile(np.array([77]), side, side), 7)
+    draw = int(hashlib.md5(b"7|77|2|5").hexdigest()[:13], 16) / float(1 << 52)
+    under = [bool(draws.under(np.array([0]), np.array([1]), np.array([p]))[0]) for p in (draw - 2.0**-52, draw, draw + 2.0**-52)]
+    assert under == [False, False, True]
