@@ -220,3 +220,20 @@ def test_draws_that_the_first_word_leaves_open(spark):
     draw = int(hashlib.md5(b"7|77|2|5").hexdigest()[:13], 16) / float(1 << 52)
     under = [bool(draws.under(np.array([0]), np.array([1]), np.array([p]))[0]) for p in (draw - 2.0**-52, draw, draw + 2.0**-52)]
     assert under == [False, False, True]
+
+
+@pytest.mark.parametrize("bounds", BOUNDS)
+def test_cells_by_tiles_are_those_of_the_grid(spark, odd_rows, monkeypatch, bounds):
+    monkeypatch.setattr(tiles, "CELLS", 500)
+    monkeypatch.setattr(tiles, "CHUNK", 300)
+    norms, seeds = column_norms(odd_rows), [3, 14]
+    grid = accuracy.grid(sampling.repeated_estimates(odd_rows, "pair", 9.0, seeds, norms, "md5"), gram.exact_cosines(odd_rows, norms), seeds)
+    got = tiles.cells(odd_rows, 9.0, seeds, 0.1, bounds)
+    assert got.count() > 0 and _plain(got) == _plain(grid.where("exact >= 0.1"))
+
+
+def test_tails_of_words_exchange_no_pairs(spark):
+    """Records of all exchanges; before, all pairs under each of six seeds."""
+    from tallgram.operators.cost import shuffled
+
+    assert shuffled(QUERIES["tails_over_seeds_w2b"](spark, "/root/testdata/sf0.01"), last=False)[0] < 100_000
