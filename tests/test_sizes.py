@@ -237,3 +237,25 @@ def test_tails_of_words_exchange_no_pairs(spark):
     from tallgram.operators.cost import shuffled
 
     assert shuffled(QUERIES["tails_over_seeds_w2b"](spark, "/root/testdata/sf0.01"), last=False)[0] < 100_000
+
+
+@pytest.mark.parametrize(("in_tasks", "sums_bytes"), [(True, 0), (False, 0), (False, 1 << 20)])
+def test_difference_norms_are_those_of_dense_matrices(spark, odd_rows, monkeypatch, in_tasks, sums_bytes):
+    """Rows of very different lengths, negative row numbers and values, duplicates to be summed, records that hold a part of a row's matrix."""
+    from tallgram.operators import differences
+    from tallgram.operators.matrix import to_triplets
+
+    for name, value in (("TASK_COLUMNS", 1000 if in_tasks else 1), ("CHUNK", 300), ("CELLS", 700), ("SUMS_BYTES", sums_bytes)):
+        monkeypatch.setattr(differences, name, value)
+    m = odd_rows.selectExpr("row_id", "filter(entries, e -> e.col < 30) as entries").persist()
+    norms, n, seeds = column_norms(m).persist(), 30, [3, 14]
+    runs = [("pair", 9.0), ("staged", 9.0), ("thinned", 9.0), ("pair", 1e9)]
+    upper = gram.exact_gram(m).select("i", "j", "dot").unionByName(norms.selectExpr("col as i", "col as j", "sumsq as dot")).persist()
+    t = to_triplets(m)
+    halves = t.unionByName(t.where("col % 3 = 0")).withColumn("val", t["val"] / (1 + (t["col"] % 3 == 0).cast("int")))
+    base, found = differences.sampled_difference_norms(halves.unionByName(t.selectExpr("row_id", "col + 1 as col", "0.0 as val").where("col < 30")), n, runs, seeds)
+    assert base == pytest.approx(spectral.spectral_norm(spectral.dense(upper, n)), rel=1e-9)
+    for (method, gamma), got in zip(runs, found, strict=True):
+        want = accuracy.spectral_errors(sampling.repeated_estimates(m, method, gamma, seeds, norms), norms, upper, n, seeds, base)
+        assert [x / base for x in got] == pytest.approx(want, rel=1e-9, abs=1e-12)
+    assert differences.sampled_difference_norms(t.where("false"), n, runs[:1], seeds) == (0.0, [[0.0, 0.0]])
