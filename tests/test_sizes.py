@@ -259,3 +259,15 @@ def test_difference_norms_are_those_of_dense_matrices(spark, odd_rows, monkeypat
         want = accuracy.spectral_errors(sampling.repeated_estimates(m, method, gamma, seeds, norms), norms, upper, n, seeds, base)
         assert [x / base for x in got] == pytest.approx(want, rel=1e-9, abs=1e-12)
     assert differences.sampled_difference_norms(t.where("false"), n, runs[:1], seeds) == (0.0, [[0.0, 0.0]])
+
+
+@pytest.mark.parametrize("name", ["method_ablation_w4b"])
+def test_errors_of_many_suppliers_exchange_no_pairs(spark, monkeypatch, name):
+    """Neither estimates nor exact products become rows of pairs; the results are the same."""
+    small = "/root/testdata/sf0.001"
+    want = QUERIES[name](spark, small).collect()
+    monkeypatch.setattr(accuracy, "DENSE_COLUMNS", 1)
+    for module, made in ((sampling, "repeated_estimates"), (gram, "exact_gram")):
+        monkeypatch.setattr(module, made, None)
+    got = QUERIES[name](spark, small).collect()
+    assert [r[:2] for r in got] == [r[:2] for r in want] and [x for r in got for x in r[2:]] == pytest.approx([x for r in want for x in r[2:]], rel=1e-9)
