@@ -261,7 +261,7 @@ def test_difference_norms_are_those_of_dense_matrices(spark, odd_rows, monkeypat
     assert differences.sampled_difference_norms(t.where("false"), n, runs[:1], seeds) == (0.0, [[0.0, 0.0]])
 
 
-@pytest.mark.parametrize("name", ["method_ablation_w4b"])
+@pytest.mark.parametrize("name", ["method_ablation_w4b", "success_rate_w4b"])
 def test_errors_of_many_suppliers_exchange_no_pairs(spark, monkeypatch, name):
     """Neither estimates nor exact products become rows of pairs; the results are the same."""
     small = "/root/testdata/sf0.001"
