@@ -271,3 +271,17 @@ def test_errors_of_many_suppliers_exchange_no_pairs(spark, monkeypatch, name):
         monkeypatch.setattr(module, made, None)
     got = QUERIES[name](spark, small).collect()
     assert [r[:2] for r in got] == [r[:2] for r in want] and [x for r in got for x in r[2:]] == pytest.approx([x for r in want for x in r[2:]], rel=1e-9)
+
+
+def test_errors_of_many_words_exchange_no_pairs(spark, monkeypatch):
+    """Steps over rows with draws as bits; the same results."""
+    from tallgram.operators import differences
+
+    small = "/root/testdata/sf0.001"
+    want = QUERIES["success_rate_w2b"](spark, small).collect()
+    monkeypatch.setattr(accuracy, "DENSE_COLUMNS", 0)
+    monkeypatch.setattr(differences, "TASK_COLUMNS", 0)
+    for module, made in ((sampling, "repeated_estimates"), (gram, "exact_gram")):
+        monkeypatch.setattr(module, made, None)
+    got = QUERIES["success_rate_w2b"](spark, small).collect()
+    assert [r[:2] for r in got] == [r[:2] for r in want] and [x for r in got for x in r[2:]] == pytest.approx([x for r in want for x in r[2:]], rel=1e-9)
